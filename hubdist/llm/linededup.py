@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
-from .overlap import block_links
+from .overlap import block_links, distinct_sorted
 from .pretokens import SPACE, classes as char_classes
 
 SHINGLE = 8
@@ -30,18 +30,14 @@ def split_lines(rows: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np
     """Code points of all texts; start, end, text number and line number of every line."""
     cp, off = tv.code_points(rows)
     feed = np.flatnonzero(cp == 10)
-    start = np.sort(np.concatenate([off[:-1], feed + 1]), kind="stable")
     row = np.concatenate([np.arange(len(rows)), np.searchsorted(off, feed, "right") - 1])
-    by = np.argsort(np.concatenate([off[:-1] * 2, (feed + 1) * 2]), kind="stable")
-    start, row = np.concatenate([off[:-1], feed + 1])[by], row[by]
+    start = np.concatenate([off[:-1], feed + 1])
     order = np.lexsort((start, row))
     start, row = start[order], row[order]
-    end = np.empty(len(start), np.int64)
-    end[:-1] = np.where(row[1:] == row[:-1], start[1:] - 1, 0)
     last = np.append(row[1:] != row[:-1], True) if len(row) else np.zeros(0, bool)
+    end = np.append(start[1:] - 1, 0) if len(row) else start
     end[last] = off[row[last] + 1]
-    first = np.searchsorted(row, np.arange(len(rows)))
-    return cp, start, end, row, np.arange(len(row)) - first[row]
+    return cp, start, end, row, np.arange(len(row)) - np.searchsorted(row, row)
 
 
 def line_hashes(cp: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -56,37 +52,57 @@ def line_shingles(cp: np.ndarray, start: np.ndarray, end: np.ndarray, width: int
     """Shingle hashes of the lines, and the line of each; a shorter line is one shingle."""
     n = np.maximum(end - start - width + 1, 1)
     owner = np.repeat(np.arange(len(start)), n)
-    a = np.arange(len(owner)) - np.repeat(np.cumsum(n) - n, n) + start[owner]
-    return tv.span_hash(tv.prefix(cp), a, np.minimum(a + width, end[owner])), owner
+    a = np.arange(len(owner)) + np.repeat(start - (np.cumsum(n) - n), n)
+    p = tv.prefix(cp)
+    size = max(len(p) - width, 0)
+    h = p[width:] - p[:size]
+    h *= tv.powers(len(p))[1][:size]
+    h += np.uint64(width * 0x9FB21C651E98DF25 & 0xFFFFFFFFFFFFFFFF)
+    short = end - start < width
+    x = tv.fmix(h)[np.minimum(a, max(size - 1, 0))] if size else np.zeros(len(a), np.uint64)
+    if short.any():
+        at = (np.cumsum(n) - n)[short]
+        x[at] = tv.span_hash(p, start[short], end[short])
+    return x, owner
 
 
 def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.ndarray:
-    """Minimum per line and slot. Round r sends each shingle to one slot; rounds from ``slots`` on send all to slot r - slots, so every slot fills."""
-    empty = np.uint64(0xFFFFFFFFFFFFFFFF)
+    """Minimum per line and slot. Round r sends each shingle to one slot; rounds from ``slots`` on send all to slot r - slots, so every slot of a short line fills."""
+    empty, low = np.uint64(0xFFFFFFFFFFFFFFFF), np.uint64(0xFFFFFFFF)
     sig = np.full(lines * slots, empty)
-    low = np.uint64(0xFFFFFFFF)
+    size = np.bincount(owner, minlength=lines)
     for r in range(2 * slots):
-        h = tv.fmix(x + np.uint64((r + 1) * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
+        h = x if r == 0 else tv.fmix(x + np.uint64(r * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
         slot = ((h >> np.uint64(32)) * np.uint64(slots) >> np.uint64(32)).astype(np.int64) if r < slots else np.full(len(x), r - slots)
         np.minimum.at(sig, owner * slots + slot, (h & low) | np.uint64(r << 32))
-        lack = (sig == empty).reshape(lines, slots).any(axis=1)
-        if not lack.any():
-            break
+        lack = (sig == empty).reshape(lines, slots).any(axis=1) & (size < 2 * slots)
         live = lack[owner]
+        if not live.any():
+            break
         x, owner = x[live], owner[live]
-    return sig.reshape(lines, slots)
+    sig = sig.reshape(lines, slots)
+    row, col = np.nonzero(sig == empty)  # long lines: an empty slot borrows from one that a hash of the slot names
+    tries = 1
+    while len(row):
+        give = (tv.fmix(col.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(tries)) % np.uint64(slots)).astype(np.int64)
+        got = sig[row, give]
+        fine = (got != empty) & (got >> np.uint64(63) == 0)
+        sig[row[fine], col[fine]] = got[fine] | np.uint64(1 << 63)
+        row, col = row[~fine], col[~fine]
+        tries += 1
+    return sig
 
 
 def line_table(docs: DataFrame) -> DataFrame:
-    """(doc_id, line_no, h1, h2, ink) of all lines; null text is one blank line."""
+    """(doc_id, line_no, h1, h2, ink, size) of all lines; null text is one blank line."""
 
     def run(batches):
         for keys, rows, piece in tv.text_batches(batches, 1 << 21):
             cp, start, end, row, number = split_lines(rows)
             h1, h2, ink = line_hashes(cp, start, end)
-            yield pa.RecordBatch.from_arrays([piece.column(0).take(pa.array(row)), pa.array(number.astype(np.int32)), pa.array(h1), pa.array(h2), pa.array(ink)], ["doc_id", "line_no", "h1", "h2", "ink"])
+            yield pa.RecordBatch.from_arrays([piece.column(0).take(pa.array(row)), pa.array(number.astype(np.int32)), pa.array(h1), pa.array(h2), pa.array(ink), pa.array(end - start)], ["doc_id", "line_no", "h1", "h2", "ink", "size"])
 
-    return docs.mapInArrow(run, "doc_id long, line_no int, h1 long, h2 long, ink boolean")
+    return docs.mapInArrow(run, "doc_id long, line_no int, h1 long, h2 long, ink boolean, size long")
 
 
 def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> DataFrame:
@@ -128,32 +144,25 @@ def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     block = components(star_edges(band_table(docs, width, rows_per_band, bands), "key", "h1")).select(F.col("node").alias("h1"), F.col("comp").alias("block"))
     place = F.struct("doc_id", "line_no")
     inked = every.where("ink and doc_id is not null")
-    first = cut(inked.groupBy("h1", "h2").agg(F.min(place).alias("rep"), F.count("*").alias("n")), "reps")
-    wanted = first.join(block, "h1").groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct(F.col("rep.line_no").alias("line_no"), "h1", "h2", "block")).alias("want"))
-
-    def sets(batches):
-        for batch in batches:
-            want = batch.column(2)
-            for i, (text, w) in enumerate(zip(tv.texts(batch.column(1)), want.to_pylist(), strict=True)):
-                cp, start, end, _, _ = split_lines([text])
-                h1, h2, _ = line_hashes(cp, start, end)
-                w = [x for x in w if x["line_no"] < len(h1) and (h1[x["line_no"]], h2[x["line_no"]]) == (x["h1"], x["h2"])]
-                if not w:
-                    continue
-                at = np.array([x["line_no"] for x in w])
-                x, owner = line_shingles(cp, start[at], end[at], width)
-                order = np.lexsort((x, owner))
-                x, owner = x[order], owner[order]
-                keep = np.ones(len(x), bool)
-                keep[1:] = (x[1:] != x[:-1]) | (owner[1:] != owner[:-1])
-                x, owner = x[keep], owner[keep]
-                off = np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=len(w)))])
-                doc = batch.column(0).take(pa.array(np.full(len(w), i)))
-                item = pa.StructArray.from_arrays([doc, pa.array(at.astype(np.int32)), pa.array([v["h1"] for v in w], pa.int64()), pa.array([v["h2"] for v in w], pa.int64())], ["doc_id", "line_no", "h1", "h2"])
-                yield pa.RecordBatch.from_arrays([pa.array([v["block"] for v in w], pa.int64()), item, pa.ListArray.from_arrays(pa.array(off, pa.int32()), pa.array(x.view(np.int64)))], ["block", "item", "tokens"])
-
-    members = docs.join(wanted, "doc_id").select("doc_id", "text", "want").mapInArrow(sets, "block long, item struct<doc_id:long,line_no:int,h1:long,h2:long>, tokens array<long>")
-    comp = components(block_links(members, num, den)).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
+    first = cut(inked.groupBy("h1", "h2").agg(F.min(place).alias("rep"), F.count("*").alias("n"), F.max("size").alias("size")), "reps")
+    chosen = cut(first.join(block, "h1").select("rep", "h1", "h2", "block", F.col("size").alias("weight")), "chosen")
+    wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2", "block")).alias("want"))
+    line = docs.join(wanted, "doc_id").select("doc_id", "want", F.split("text", "\n", -1).alias("lines"))
+    line = line.select("doc_id", F.explode(F.transform("want", lambda w: F.struct(w.alias("w"), F.get("lines", w.line_no).alias("text")))).alias("x"))
+    item = F.struct("doc_id", F.col("x.w.line_no").alias("line_no"), F.col("x.w.h1").alias("h1"), F.col("x.w.h2").alias("h2"))
+    members = line.where("x.text is not null").select(F.col("x.w.block").alias("block"), item.alias("item"), F.col("x.text").alias("text"))
+
+    def sets(table):
+        rows = tv.texts(table["text"])
+        cp, off = tv.code_points(rows)
+        h1, h2, _ = line_hashes(cp, off[:-1], off[1:])
+        item = table["item"].combine_chunks()
+        same = np.flatnonzero((h1 == item.field("h1").to_numpy()) & (h2 == item.field("h2").to_numpy()))  # a repeated doc_id may hold another line there
+        x, owner = line_shingles(cp, off[same], off[same + 1], width)
+        x, at = distinct_sorted(x, owner, len(same))
+        return x.view(np.int64), at, same
+
+    comp = components(block_links(members, chosen, sets, num, den)).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
     # only classes of several lines say anything; the rest are their own
     named = first.join(comp, ["h1", "h2"], "left").where("n > 1 or comp is not null").select("h1", "h2", F.coalesce("comp", "rep").alias("cls"))
     out = every.join(named, ["h1", "h2"], "left")

@@ -13,7 +13,7 @@ task, and none of its connections is lost.
 from __future__ import annotations
 
 import math
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 
 import numpy as np
 import pandas as pd
@@ -24,6 +24,9 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 
 
+LONG = 64  # a list of at most so many items is merged, never set aside
+
+
 class Sets:
     """Union-find over 0..n-1 with path halving."""
 
@@ -61,71 +64,72 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
     owner, code = owner[live], code[live]
     order = np.argsort(code, kind="stable")
     posts, start = owner[order], np.concatenate([[0], np.cumsum(np.bincount(code, minlength=len(uniq)))])
+    probe = code[order] * n + posts  # all lists end to end, sorted: one binary search serves any list
     at = np.searchsorted(owner, np.arange(n + 1))
+    enough = np.diff(at) >= -(-num * sizes // den)  # a partner of any size shares so many at least
     mixed = bool(side.min() != side.max()) if n else False
     joined = Sets(n)
-    for x in range(n):
-        if mixed and side[x]:
-            continue
+    for x in np.flatnonzero(enough & (sizes > 0) & ~(mixed & (side == 1))).tolist():
         size = int(sizes[x])
-        need = -(-num * size // den)  # a partner of any size shares so many at least
+        need = -(-num * size // den)
         own = code[at[x] : at[x + 1]]
-        if not size or len(own) < need:
-            continue
         lens = start[own + 1] - start[own]
-        by = np.argsort(lens, kind="stable")
-        own, lens = own[by], lens[by]
-        aside = min(need - 1, int(need / (0.1 * math.log2(lens[-1] + 1) + 1)))
-        short, long = own[: len(own) - aside], own[len(own) - aside :]
-        merged = np.concatenate([posts[start[c] : start[c + 1]] for c in short.tolist()]) if len(short) else np.zeros(0, np.int64)
-        if not mixed:
-            merged = merged[merged > x]
+        longest = int(lens.max())
+        long = np.zeros(0, np.int64)
+        if longest > LONG:
+            by = np.argsort(lens, kind="stable")
+            own, lens = own[by], lens[by]
+            aside = min(need - 1, int((lens > LONG).sum()), int(need / (0.1 * math.log2(longest) + 1)))
+            if aside:
+                own, lens, long = own[:-aside], lens[:-aside], own[-aside:]
+        if not len(own):
+            continue
+        heads = np.cumsum(lens) - lens
+        merged = posts[np.repeat(start[own] - heads, lens) + np.arange(int(lens.sum()))]
         counts = np.bincount(merged, minlength=n)
-        found = np.flatnonzero(counts >= max(1, need - aside))
+        if not mixed:
+            counts[: x + 1] = 0
+        found = np.flatnonzero(counts >= max(1, need - len(long)))
+        if not len(found):
+            continue
         fits = (block[found] == block[x]) & (den * sizes[found] >= num * size) & (num * sizes[found] <= den * size)
         if mixed:
             fits &= side[found] == 1
-        elif len(found):
-            fits &= found > x
-        found = found[fits]
-        if not len(found):
-            continue
         root = joined.find(x)
-        found = np.array([y for y in found.tolist() if joined.find(y) != root], np.int64)
+        found = np.array([y for y in found[fits].tolist() if joined.find(y) != root], np.int64)
         if not len(found):
             continue
         total = counts[found]
-        if aside:
-            probes = np.zeros(len(found), np.int64)
-            for c in long.tolist():
-                own_list = posts[start[c] : start[c + 1]]
-                k = np.minimum(np.searchsorted(own_list, found), len(own_list) - 1)
-                probes += own_list[k] == found
-            total = total + probes
+        if len(long):
+            want = long[:, None] * n + found[None, :]
+            k = np.minimum(np.searchsorted(probe, want), len(probe) - 1)
+            total = total + (probe[k] == want).sum(axis=0)
         good = found[den * total >= num * (size + sizes[found] - total)]
         for y in good.tolist():
             if joined.join(x, y):
                 yield x, y
 
 
-def block_links(members: DataFrame, num: int, den: int, item_type: str = "long", budget: int = 600_000) -> DataFrame:
-    """Exact links of items within blocks: ``members`` (block, item, tokens sorted array<long>) to (a, b).
+def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 600_000) -> DataFrame:
+    """Exact links (a, b) of items within blocks; ``members``: (block long, item, what ``sets`` needs), ``weights``: (block, weight) of the same items.
 
-    Small blocks share a task, up to ``budget`` tokens; a larger block is dealt
+    ``sets`` turns a task's rows into sorted distinct tokens end to end, their
+    offsets, and the rows that take part; ``weight`` is at least the size of a set.
+    Small blocks share a task, up to ``budget`` of weight; a larger block is dealt
     into chunks and every pair of chunks is a task, so memory is bounded whatever
     a block holds. Repeated (block, item) rows count once; empty sets link with
-    nothing.
+    nothing. Texts travel, not tokens: they are several times smaller.
     """
-    members = members.where(F.size("tokens") > 0)
-    sizes = cut(members.groupBy("block").agg(F.sum(F.size("tokens")).cast("long").alias("total")), "blocks")
+    sizes = cut(weights.groupBy("block").agg(F.sum("weight").cast("long").alias("total")), "blocks")
     small = sizes.where(F.col("total") <= budget).agg(F.sum("total")).first()[0] or 0
     groups = max(1, math.ceil(small / budget))
     many = members.join(sizes, "block").withColumn("c", F.ceil(F.col("total") / F.lit(budget)).cast("int"))
     chunk = F.when(F.col("c") > 1, F.pmod(F.xxhash64("item", F.lit(7)), F.col("c"))).otherwise(0).cast("int")
     many = many.withColumn("own", chunk).withColumn("other", F.explode(F.when(F.col("c") > 1, F.sequence(F.lit(0), F.col("c") - 1)).otherwise(F.array(F.lit(0)))))
     task = F.when(F.col("c") > 1, F.concat_ws("/", F.lit("b"), F.xxhash64("block").cast("string"), F.least("own", "other").cast("string"), F.greatest("own", "other").cast("string"))).otherwise(F.concat_ws("/", F.lit("s"), F.pmod(F.xxhash64("block"), F.lit(groups)).cast("string")))
-    dealt = many.select(task.alias("task"), F.xxhash64("block").alias("block"), F.when(F.col("own") > F.col("other"), 1).when(F.col("own") < F.col("other"), 0).otherwise(2).alias("side"), "item", "tokens")
-    item_kind = members.schema["item"].dataType
+    extra = [c for c in members.columns if c not in ("block", "item")]
+    dealt = many.select(task.alias("task"), "block", F.when(F.col("own") > F.col("other"), 1).when(F.col("own") < F.col("other"), 0).otherwise(2).alias("side"), "item", *extra)
+    kind = members.schema["item"].dataType.simpleString()
 
     def run(table: pa.Table) -> pa.Table:
         seen, keep = set(), []
@@ -133,15 +137,22 @@ def block_links(members: DataFrame, num: int, den: int, item_type: str = "long",
             if v not in seen:
                 seen.add(v)
                 keep.append(k)
-        if len(keep) < table.num_rows:
-            table = table.take(keep)
-        lists = table["tokens"].combine_chunks()
-        off = lists.offsets.to_numpy().astype(np.int64)
-        tokens = lists.values.to_numpy()[off[0] : off[-1]]
-        pairs = list(links(table["block"].to_numpy(), table["side"].to_numpy(), np.diff(off), tokens, num, den))
-        items = table["item"].combine_chunks()
+        table = table.take(keep)
+        tokens, off, rows = sets(table)
+        block, side = table["block"].to_numpy()[rows], table["side"].to_numpy()[rows]
+        pairs = list(links(block, side, np.diff(off), tokens, num, den))
+        items = table["item"].combine_chunks().take(pa.array(rows))
         a, b = (pa.array([p[k] for p in pairs], pa.int64()) for k in (0, 1))
         return pa.table({"a": items.take(a), "b": items.take(b)})
 
-    kind = item_kind.simpleString()
     return dealt.groupBy("task").applyInArrow(run, f"a {kind}, b {kind}")
+
+
+def distinct_sorted(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Sorted distinct values of each of n owners end to end, and their offsets."""
+    order = np.lexsort((x, owner))
+    x, owner = x[order], owner[order]
+    keep = np.ones(len(x), bool)
+    keep[1:] = (x[1:] != x[:-1]) | (owner[1:] != owner[:-1])
+    x, owner = x[keep], owner[keep]
+    return x, np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])

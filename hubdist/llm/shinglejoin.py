@@ -22,7 +22,7 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
-from .overlap import block_links
+from .overlap import block_links, distinct_sorted
 
 SPARE = 3
 _WHITE = np.zeros(256, bool)
@@ -54,12 +54,7 @@ def shingle_sets(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndar
     owner = np.repeat(np.arange(n), last)
     at = np.arange(len(owner)) - np.repeat(np.cumsum(last) - last, last) + first[owner]
     x = tv.span_hash(q, at, np.minimum(at + width, first[owner + 1]), 1)
-    order = np.lexsort((x, owner))
-    x, owner = x[order], owner[order]
-    keep = np.ones(len(x), bool)
-    keep[1:] = (x[1:] != x[:-1]) | (owner[1:] != owner[:-1])
-    x, owner = x[keep], owner[keep]
-    return x, np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])
+    return distinct_sorted(x, owner, n)
 
 
 def bands(limit: int, num: int, den: int) -> list[int]:
@@ -137,15 +132,15 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
     near = star_edges(leads.mapInArrow(keys, "key long, doc_id long"), "key", "doc_id")
     block = components(near).select(F.col("node").alias("doc_id"), F.col("comp").alias("block"))
 
-    def sets(batches):
-        for batch in batches:
-            data, off = tv.utf8(batch.column(1))
-            for i, j in tv.slices(np.diff(off), 1 << 20):
-                x, at = shingle_sets(data[off[i] : off[j]], off[i : j + 1] - off[i], width)
-                yield pa.RecordBatch.from_arrays([batch.column(2).slice(i, j - i), batch.column(0).slice(i, j - i), pa.ListArray.from_arrays(pa.array(at, pa.int32()), pa.array(x.view(np.int64)))], ["block", "item", "tokens"])
+    def sets(table):
+        data, off = tv.utf8(table["text"].combine_chunks())
+        x, at = shingle_sets(data, off, width)
+        return x.view(np.int64), at, np.arange(table.num_rows)
 
-    members = docs.join(block, "doc_id").select("doc_id", "text", "block").mapInArrow(sets, "block long, item long, tokens array<long>")
-    found = block_links(members, num, den)
+    sized = reps.select(F.col("rep").alias("doc_id"), F.col("n").alias("weight")).groupBy("doc_id").agg(F.max("weight").alias("weight")).join(block, "doc_id")
+    sized = cut(sized, "members")
+    members = docs.where("text is not null").join(sized, "doc_id").select("block", F.col("doc_id").alias("item"), "text")
+    found = block_links(members, sized, sets, num, den)
     same = real.join(reps, ["d1", "d2", "n"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     repeated = components(found)
     # a class whose rows carry one doc_id twice is tied by that id, so copies enter as links only where they meet several classes

@@ -110,7 +110,7 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
                 yield x, y
 
 
-def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 600_000) -> DataFrame:
+def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
     """Exact links (a, b) of items within blocks; ``members``: (block long, item, what ``sets`` needs), ``weights``: (block, weight) of the same items.
 
     ``sets`` turns a task's rows into sorted distinct tokens end to end, their

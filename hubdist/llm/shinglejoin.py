@@ -14,6 +14,8 @@ Nothing is sampled or capped; every link has its pair in one block.
 
 from __future__ import annotations
 
+import math
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame
@@ -65,14 +67,21 @@ def bands(limit: int, num: int, den: int) -> list[int]:
     return out
 
 
-def part_keys(x: np.ndarray, tops: list[int], num: int, den: int, spare: int = SPARE) -> np.ndarray:
+def spare_parts(differ: int) -> int:
+    """Parts beyond those that can differ: more than a set of this size leaves empty, but for rare ones, so that hardly any set needs keys of empty parts."""
+    return SPARE + -(-3 * differ // 200) + math.isqrt(36 * differ // 100 + 1)
+
+
+def part_keys(x: np.ndarray, tops: list[int], num: int, den: int) -> np.ndarray:
     """Keys of one sorted set: one for each non-empty part, in the schemes of its own band and of the one below."""
     size = len(x)
     own = int(np.searchsorted(tops, size))
     out = []
     for scheme in {own, max(own - 1, 0)}:
         most = tops[min(scheme, len(tops) - 1)] + tops[min(scheme + 1, len(tops) - 1)]
-        parts = most * (den - num) // (den + num) + 1 + spare
+        differ = most * (den - num) // (den + num)
+        spare = spare_parts(differ)
+        parts = differ + 1 + spare
         spread = tv.fmix(x ^ np.uint64(0x5851F42D4C957F2D))
         part = (spread >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)
         total = np.zeros(parts, np.uint64)

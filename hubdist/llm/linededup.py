@@ -75,7 +75,7 @@ def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.n
         h = x if r == 0 else tv.fmix(x + np.uint64(r * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
         slot = ((h >> np.uint64(32)) * np.uint64(slots) >> np.uint64(32)).astype(np.int64) if r < slots else np.full(len(x), r - slots)
         np.minimum.at(sig, owner * slots + slot, (h & low) | np.uint64(r << 32))
-        lack = (sig == empty).reshape(lines, slots).any(axis=1) & (size < 2 * slots)
+        lack = (sig == empty).reshape(lines, slots).any(axis=1) & (size < slots)
         live = lack[owner]
         if not live.any():
             break

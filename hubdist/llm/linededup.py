@@ -2,7 +2,7 @@
 
 Lines are split at line feeds and taken as they are. A line of white space only
 is blank: never a duplicate, always kept. Equal lines are one class from the
-start (a digest of 128 bits). Signatures fill all their slots from one hash per
+start (two hashes of 64 bits). Signatures fill all their slots from one hash per
 shingle and round (later rounds only fill slots still empty), so a long line
 costs about one hash a shingle and a short one a few hundred. Lines that share
 a band of slots are candidates; whole candidate blocks are checked exactly by
@@ -13,39 +13,23 @@ from __future__ import annotations
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
 from .overlap import block_links, distinct_sorted
-from .pretokens import SPACE, classes as char_classes
+from .pretokens import WHITE
 
 SHINGLE = 8
+INK = "[^" + "".join(f"\\x{{{c:x}}}" for c in WHITE) + "]"  # what a line must hold not to be blank
 ROWS, BANDS = 6, 16  # a pair at similarity 0.8 shares a band with probability 0.992, at 0.9 with 0.9999
 
 
-def split_lines(rows: list[str]) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
-    """Code points of all texts; start, end, text number and line number of every line."""
-    cp, off = tv.code_points(rows)
-    feed = np.flatnonzero(cp == 10)
-    row = np.concatenate([np.arange(len(rows)), np.searchsorted(off, feed, "right") - 1])
-    start = np.concatenate([off[:-1], feed + 1])
-    order = np.lexsort((start, row))
-    start, row = start[order], row[order]
-    last = np.append(row[1:] != row[:-1], True) if len(row) else np.zeros(0, bool)
-    end = np.append(start[1:] - 1, 0) if len(row) else start
-    end[last] = off[row[last] + 1]
-    return cp, start, end, row, np.arange(len(row)) - np.searchsorted(row, row)
-
-
-def line_hashes(cp: np.ndarray, start: np.ndarray, end: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """Two hashes of each line, and whether it has anything but white space."""
-    h1 = tv.span_hash(tv.prefix(cp), start, end)
-    h2 = tv.span_hash(tv.prefix(cp, 1), start, end, 1)
-    ink = np.concatenate([[0], np.cumsum(char_classes()[cp] != SPACE)])
-    return h1.view(np.int64), h2.view(np.int64), ink[end] > ink[start]
+def digests(line: str) -> tuple[Column, Column]:
+    """Two hashes of a line, h1 and h2."""
+    return F.xxhash64(line).alias("h1"), F.xxhash64(F.lit(1), line).alias("h2")
 
 
 def line_shingles(cp: np.ndarray, start: np.ndarray, end: np.ndarray, width: int) -> tuple[np.ndarray, np.ndarray]:
@@ -73,8 +57,15 @@ def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.n
     size = np.bincount(owner, minlength=lines)
     for r in range(2 * slots):
         h = x if r == 0 else tv.fmix(x + np.uint64(r * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
-        slot = ((h >> np.uint64(32)) * np.uint64(slots) >> np.uint64(32)).astype(np.int64) if r < slots else np.full(len(x), r - slots)
-        np.minimum.at(sig, owner * slots + slot, (h & low) | np.uint64(r << 32))
+        at = owner * slots
+        if r < slots:
+            slot = h >> np.uint64(32)
+            slot *= np.uint64(slots)
+            slot >>= np.uint64(32)
+            at += slot.view(np.int64)
+        else:
+            at += r - slots
+        np.minimum.at(sig, at, (h & low) | np.uint64(r << 32))
         lack = (sig == empty).reshape(lines, slots).any(axis=1) & (size < 2 * slots)
         live = lack[owner]
         if not live.any():
@@ -93,16 +84,14 @@ def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.n
     return sig
 
 
-def line_table(docs: DataFrame) -> DataFrame:
-    """(doc_id, line_no, h1, h2, ink, size) of all lines; null text is one blank line."""
+def split_lines(docs: DataFrame) -> DataFrame:
+    """(doc_id, line_no, line) of all lines; null text is one blank line."""
+    return docs.select("doc_id", F.posexplode(F.split(F.coalesce("text", F.lit("")), "\n", -1)).alias("line_no", "line"))
 
-    def run(batches):
-        for keys, rows, piece in tv.text_batches(batches, 1 << 21):
-            cp, start, end, row, number = split_lines(rows)
-            h1, h2, ink = line_hashes(cp, start, end)
-            yield pa.RecordBatch.from_arrays([piece.column(0).take(pa.array(row)), pa.array(number.astype(np.int32)), pa.array(h1), pa.array(h2), pa.array(ink), pa.array(end - start)], ["doc_id", "line_no", "h1", "h2", "ink", "size"])
 
-    return docs.mapInArrow(run, "doc_id long, line_no int, h1 long, h2 long, ink boolean, size long")
+def line_table(docs: DataFrame) -> DataFrame:
+    """(doc_id, line_no, h1, h2, ink, size) of all lines."""
+    return split_lines(docs).select("doc_id", "line_no", *digests("line"), F.col("line").rlike(INK).alias("ink"), F.length("line").cast("long").alias("size"))
 
 
 def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> DataFrame:
@@ -110,24 +99,21 @@ def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> D
     slots = rows_per_band * bands
 
     def run(batches):
-        for _, rows, _ in tv.text_batches(batches, 1 << 20):
-            cp, start, end, _, _ = split_lines(rows)
-            h1, _, ink = line_hashes(cp, start, end)
-            at = np.unique(h1, return_index=True)[1]
-            at = at[ink[at]]
-            if not len(at):
-                continue
-            x, owner = line_shingles(cp, start[at], end[at], width)
-            sig = signatures(x, owner, len(at), slots)
-            key = np.zeros((len(at), bands), np.uint64)
+        once = (b.take(pa.array(np.unique(b.column(0).to_numpy(), return_index=True)[1])) for b in batches)
+        for _, rows, piece in tv.text_batches(once, 1 << 17):  # arrays of a piece stay in a core's cache
+            cp, off = tv.code_points(rows)
+            x, owner = line_shingles(cp, off[:-1], off[1:], width)
+            sig = signatures(x, owner, len(rows), slots)
+            key = np.zeros((len(rows), bands), np.uint64)
             for r in range(rows_per_band):
                 key = tv.fmix(key + sig[:, r::rows_per_band] + np.uint64(0x9E3779B97F4A7C15))
             key = tv.fmix(key + np.arange(bands, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
-            flat, own = key.ravel().view(np.int64), np.repeat(h1[at], bands)
+            flat, own = key.ravel().view(np.int64), np.repeat(piece.column(0).to_numpy(), bands)
             for i in range(0, len(flat), 100_000):
                 yield pa.RecordBatch.from_arrays([pa.array(flat[i : i + 100_000]), pa.array(own[i : i + 100_000])], ["key", "h1"])
 
-    return docs.mapInArrow(run, "key long, h1 long")
+    inked = split_lines(docs).where(F.col("line").rlike(INK)).select(digests("line")[0], "line")
+    return inked.mapInArrow(run, "key long, h1 long")
 
 
 def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SHINGLE, rows_per_band: int = ROWS, bands: int = BANDS) -> DataFrame:
@@ -148,19 +134,17 @@ def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     chosen = cut(first.join(block, "h1").select("rep", "h1", "h2", "block", F.col("size").alias("weight")), "chosen")
     wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2", "block")).alias("want"))
     line = docs.join(wanted, "doc_id").select("doc_id", "want", F.split("text", "\n", -1).alias("lines"))
-    line = line.select("doc_id", F.explode(F.transform("want", lambda w: F.struct(w.alias("w"), F.get("lines", w.line_no).alias("text")))).alias("x"))
-    item = F.struct("doc_id", F.col("x.w.line_no").alias("line_no"), F.col("x.w.h1").alias("h1"), F.col("x.w.h2").alias("h2"))
-    members = line.where("x.text is not null").select(F.col("x.w.block").alias("block"), item.alias("item"), F.col("x.text").alias("text"))
+    line = line.select("doc_id", F.explode(F.transform("want", lambda w: F.struct(w.alias("w"), F.get("lines", w.line_no).alias("line")))).alias("x"))
+    line = line.select("doc_id", "x.w.*", "x.line")
+    h1, h2 = digests("line")
+    same = line.where((h1 == F.col("h1")) & (h2 == F.col("h2")))  # a repeated doc_id may hold another line there
+    members = same.select("block", F.struct("doc_id", "line_no", "h1", "h2").alias("item"), F.col("line").alias("text"))
 
     def sets(table):
-        rows = tv.texts(table["text"])
-        cp, off = tv.code_points(rows)
-        h1, h2, _ = line_hashes(cp, off[:-1], off[1:])
-        item = table["item"].combine_chunks()
-        same = np.flatnonzero((h1 == item.field("h1").to_numpy()) & (h2 == item.field("h2").to_numpy()))  # a repeated doc_id may hold another line there
-        x, owner = line_shingles(cp, off[same], off[same + 1], width)
-        x, at = distinct_sorted(x, owner, len(same))
-        return x.view(np.int64), at, same
+        cp, off = tv.code_points(tv.texts(table["text"]))
+        x, owner = line_shingles(cp, off[:-1], off[1:], width)
+        x, at = distinct_sorted(x, owner, len(off) - 1)
+        return x.view(np.int64), at, np.arange(len(off) - 1)
 
     comp = components(block_links(members, chosen, sets, num, den)).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
     # only classes of several lines say anything; the rest are their own

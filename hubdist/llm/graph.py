@@ -14,11 +14,10 @@ from ..plans.scratch import cut, drop
 
 
 def star_edges(df: DataFrame, key: str, item: str) -> DataFrame:
-    """Links (a, b) from each item to the smallest item under the same key; streams through a sorted bucket of any size."""
+    """Links (a, b) from each item to the smallest item under the same key; a bucket of any size spills, and sorting by the key alone is a radix sort."""
     from pyspark.sql import Window
 
-    w = Window.partitionBy(key).orderBy(item).rowsBetween(Window.unboundedPreceding, Window.currentRow)
-    return df.select(F.first(item).over(w).alias("b"), F.col(item).alias("a")).where("a <> b").distinct()
+    return df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:

@@ -19,7 +19,7 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
-from .overlap import block_links, distinct_sorted
+from .overlap import block_links, distinct
 from .pretokens import WHITE
 
 SHINGLE = 8
@@ -143,7 +143,7 @@ def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     def sets(table):
         cp, off = tv.code_points(tv.texts(table["text"]))
         x, owner = line_shingles(cp, off[:-1], off[1:], width)
-        x, at = distinct_sorted(x, owner, len(off) - 1)
+        x, at = distinct(x, owner, len(off) - 1)
         return x.view(np.int64), at, np.arange(len(off) - 1)
 
     comp = components(block_links(members, chosen, sets, num, den)).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))

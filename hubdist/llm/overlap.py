@@ -157,18 +157,8 @@ def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table
     return dealt.groupBy("task").applyInArrow(run, f"a {kind}, b {kind}")
 
 
-def distinct_sorted(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Sorted distinct values of each of n owners end to end, and their offsets."""
-    order = np.lexsort((x, owner))
-    x, owner = x[order], owner[order]
-    keep = np.ones(len(x), bool)
-    keep[1:] = (x[1:] != x[:-1]) | (owner[1:] != owner[:-1])
-    x, owner = x[keep], owner[keep]
-    return x, np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])
-
-
 def distinct(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct values of each of n owners end to end in any order, and their offsets; three times faster than sorted ones."""
+    """Distinct values of each of n owners end to end in any order, and their offsets."""
     code, uniq = pd.factorize(x)
     pair = np.sort(owner * len(uniq) + code)
     keep = np.ones(len(pair), bool)

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
-from .overlap import block_links, distinct_sorted
+from .overlap import block_links, distinct
 
 SPARE = 3
 _WHITE = np.zeros(256, bool)
@@ -56,7 +56,7 @@ def shingle_sets(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndar
     owner = np.repeat(np.arange(n), last)
     at = np.arange(len(owner)) - np.repeat(np.cumsum(last) - last, last) + first[owner]
     x = tv.span_hash(q, at, np.minimum(at + width, first[owner + 1]), 1)
-    return distinct_sorted(x, owner, n)
+    return distinct(x, owner, n)
 
 
 def bands(limit: int, num: int, den: int) -> list[int]:
@@ -73,7 +73,7 @@ def spare_parts(differ: int) -> int:
 
 
 def part_keys(x: np.ndarray, tops: list[int], num: int, den: int) -> np.ndarray:
-    """Keys of one sorted set: one for each non-empty part, in the schemes of its own band and of the one below."""
+    """Keys of one set: one for each non-empty part, in the schemes of its own band and of the one below."""
     size = len(x)
     own = int(np.searchsorted(tops, size))
     out = []

@@ -142,9 +142,10 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
     block = components(near).select(F.col("node").alias("doc_id"), F.col("comp").alias("block"))
 
     def sets(table):
-        data, off = tv.utf8(table["text"].combine_chunks())
-        x, at = shingle_sets(data, off, width)
-        return x.view(np.int64), at, np.arange(table.num_rows)
+        text = table["text"].combine_chunks()
+        held = [shingle_sets(data, off, width) for _, data, off in _pieces([pa.RecordBatch.from_arrays([text, text], ["id", "text"])], 1 << 19)]
+        sizes = np.concatenate([np.zeros(1, np.int64), *[np.diff(at) for _, at in held]])
+        return np.concatenate([np.zeros(0, np.uint64), *[x for x, _ in held]]).view(np.int64), np.cumsum(sizes), np.arange(table.num_rows)
 
     sized = reps.select(F.col("rep").alias("doc_id"), F.col("n").alias("weight")).groupBy("doc_id").agg(F.max("weight").alias("weight")).join(block, "doc_id")
     sized = cut(sized, "members")

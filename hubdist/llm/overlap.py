@@ -119,15 +119,12 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
                 yield x, y
 
 
-def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
-    """Exact links (a, b) of items within blocks; ``members``: (block long, item, what ``sets`` needs), ``weights``: (block, weight) of the same items.
+def deal(members: DataFrame, weights: DataFrame, budget: int = 1_000_000) -> DataFrame:
+    """``members`` (block long, item, more) with the ``task`` and ``side`` of each place; ``weights``: (block, weight) of the same items.
 
-    ``sets`` turns a task's rows into distinct tokens end to end, their
-    offsets, and the rows that take part; ``weight`` is at least the size of a set.
     Small blocks share a task, up to ``budget`` of weight; a larger block is dealt
     into chunks and every pair of chunks is a task, so memory is bounded whatever
-    a block holds. Repeated (block, item) rows count once; empty sets link with
-    nothing. Texts travel, not tokens: they are several times smaller.
+    a block holds.
     """
     sizes = cut(weights.groupBy("block").agg(F.sum("weight").cast("long").alias("total")), "blocks")
     small = sizes.where(F.col("total") <= budget).agg(F.sum("total")).first()[0] or 0
@@ -137,12 +134,22 @@ def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table
     many = many.withColumn("own", chunk).withColumn("other", F.explode(F.when(F.col("c") > 1, F.sequence(F.lit(0), F.col("c") - 1)).otherwise(F.array(F.lit(0)))))
     task = F.when(F.col("c") > 1, F.concat_ws("/", F.lit("b"), F.xxhash64("block").cast("string"), F.least("own", "other").cast("string"), F.greatest("own", "other").cast("string"))).otherwise(F.concat_ws("/", F.lit("s"), F.pmod(F.xxhash64("block"), F.lit(groups)).cast("string")))
     extra = [c for c in members.columns if c not in ("block", "item")]
-    dealt = many.select(task.alias("task"), "block", F.when(F.col("own") > F.col("other"), 1).when(F.col("own") < F.col("other"), 0).otherwise(2).alias("side"), "item", *extra)
-    kind = members.schema["item"].dataType.simpleString()
+    return many.select(task.alias("task"), "block", F.when(F.col("own") > F.col("other"), 1).when(F.col("own") < F.col("other"), 0).otherwise(2).alias("side"), "item", *extra)
+
+
+def verified(dealt: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int) -> DataFrame:
+    """Exact links (a, b) of dealt items within blocks.
+
+    ``sets`` turns a task's rows into distinct tokens end to end, their
+    offsets, and the rows that take part. Repeated (block, item) rows count once,
+    with a column ``mark`` once for each value of it; empty sets link with nothing.
+    """
+    kind = dealt.schema["item"].dataType.simpleString()
 
     def run(table: pa.Table) -> pa.Table:
         seen, keep = set(), []
-        for k, v in enumerate(zip(table["block"].to_pylist(), map(str, table["item"].to_pylist()), strict=True)):
+        marks = table["mark"].to_pylist() if "mark" in table.column_names else [0] * table.num_rows
+        for k, v in enumerate(zip(table["block"].to_pylist(), map(str, table["item"].to_pylist()), marks, strict=True)):
             if v not in seen:
                 seen.add(v)
                 keep.append(k)
@@ -157,6 +164,11 @@ def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table
     return dealt.groupBy("task").applyInArrow(run, f"a {kind}, b {kind}")
 
 
+def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
+    """Exact links (a, b) of ``members``: (block, item, what ``sets`` needs); texts travel, not tokens, as they are several times smaller."""
+    return verified(deal(members, weights, budget), sets, num, den)
+
+
 def distinct(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
     """Distinct values of each of n owners end to end in any order, and their offsets."""
     code, uniq = pd.factorize(x)

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .graph import components, star_edges
-from .overlap import block_links, distinct
+from .overlap import deal, distinct, verified
 
 SPARE = 3
 _WHITE = np.zeros(256, bool)
@@ -92,6 +92,12 @@ def part_keys(x: np.ndarray, tops: list[int], num: int, den: int) -> np.ndarray:
     return np.concatenate(out)
 
 
+def digest(x: np.ndarray, at: np.ndarray) -> np.ndarray:
+    """64 bits for each set, whatever the order of its elements."""
+    total = np.concatenate([[np.uint64(0)], np.cumsum(tv.fmix(x))])
+    return tv.fmix(total[at[1:]] - total[at[:-1]]).view(np.int64)
+
+
 def classes(docs: DataFrame, width: int) -> DataFrame:
     """(doc_id, n, d1, d2): set size and a digest of 128 bits of each document's set."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
@@ -99,8 +105,7 @@ def classes(docs: DataFrame, width: int) -> DataFrame:
     def run(batches):
         for keys, data, off in _pieces(batches):
             x, at = shingle_sets(data, off, width)
-            d = [np.concatenate([[np.uint64(0)], np.cumsum(v)]) for v in (tv.fmix(x), tv.fmix(x + np.uint64(0x9E3779B97F4A7C15)))]
-            d1, d2 = (tv.fmix(v[at[1:]] - v[at[:-1]]).view(np.int64) for v in d)
+            d1, d2 = digest(x, at), digest(x + np.uint64(0x9E3779B97F4A7C15), at)
             yield pa.RecordBatch.from_arrays([keys, pa.array(np.diff(at)), pa.array(d1), pa.array(d2)], ["doc_id", "n", "d1", "d2"])
 
     return docs.mapInArrow(run, "doc_id long, n long, d1 long, d2 long")
@@ -126,20 +131,27 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
     reps = cut(real.groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep")), "classes")
     limit = reps.agg(F.max("n")).first()[0] or 1
     tops = bands(int(limit) * den // num + 1, num, den)
-    leads = docs.join(reps.select(F.col("rep").alias("doc_id")).distinct(), "doc_id", "left_semi")
+    named = docs.where("doc_id is not null and text is not null").select("doc_id", "text")
 
     def keys(batches):
-        for ids, data, off in _pieces(batches, 1 << 20):
+        # a set is named by 64 bits of its digest: equal sets of a task count once, and two sets of one name only share a block
+        met = set()
+        for _, data, off in _pieces(batches, 1 << 20):
             x, at = shingle_sets(data, off, width)
-            held = [part_keys(x[a:b], tops, num, den) if b > a else np.zeros(0, np.uint64) for a, b in zip(at[:-1].tolist(), at[1:].tolist(), strict=True)]
+            names, fresh = digest(x, at), []
+            for k, v in enumerate(names.tolist()):
+                if at[k + 1] > at[k] and v not in met:
+                    met.add(v)
+                    fresh.append(k)
+            held = [part_keys(x[at[k] : at[k + 1]], tops, num, den) for k in fresh]
             n = np.fromiter(map(len, held), np.int64, len(held))
-            flat = np.concatenate(held) if held else np.zeros(0, np.uint64)
-            owner = ids.take(pa.array(np.repeat(np.arange(len(held)), n)))
+            flat = np.concatenate([np.zeros(0, np.uint64), *held]).view(np.int64)
+            owner = np.repeat(names[np.array(fresh, np.int64)], n)
             for i in range(0, len(flat), 200_000):
-                yield pa.RecordBatch.from_arrays([pa.array(flat[i : i + 200_000].view(np.int64)), owner.slice(i, 200_000)], ["key", "doc_id"])
+                yield pa.RecordBatch.from_arrays([pa.array(flat[i : i + 200_000]), pa.array(owner[i : i + 200_000])], ["key", "d1"])
 
-    near = star_edges(leads.mapInArrow(keys, "key long, doc_id long"), "key", "doc_id")
-    block = components(near).select(F.col("node").alias("doc_id"), F.col("comp").alias("block"))
+    near = star_edges(named.mapInArrow(keys, "key long, d1 long"), "key", "d1")
+    block = components(near).select(F.col("node").alias("d1"), F.col("comp").alias("block"))
 
     def sets(table):
         text = table["text"].combine_chunks()
@@ -147,10 +159,11 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
         sizes = np.concatenate([np.zeros(1, np.int64), *[np.diff(at) for _, at in held]])
         return np.concatenate([np.zeros(0, np.uint64), *[x for x, _ in held]]).view(np.int64), np.cumsum(sizes), np.arange(table.num_rows)
 
-    sized = reps.select(F.col("rep").alias("doc_id"), F.col("n").alias("weight")).groupBy("doc_id").agg(F.max("weight").alias("weight")).join(block, "doc_id")
-    sized = cut(sized, "members")
-    members = docs.where("text is not null").join(sized, "doc_id").select("block", F.col("doc_id").alias("item"), "text")
-    found = block_links(members, sized, sets, num, den)
+    sized = cut(reps.join(block, "d1").groupBy("block", F.col("rep").alias("item")).agg(F.max("n").alias("weight")), "members")
+    # places are dealt before texts join them, so a text travels to its id and to its task only
+    dealt = deal(sized.select("block", "item"), sized).withColumnRenamed("item", "doc_id")
+    members = named.withColumn("mark", F.xxhash64("text")).join(dealt, "doc_id").withColumnRenamed("doc_id", "item")
+    found = verified(members, sets, num, den)
     same = real.join(reps, ["d1", "d2", "n"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
     repeated = components(found)
     # a class whose rows carry one doc_id twice is tied by that id, so copies enter as links only where they meet several classes

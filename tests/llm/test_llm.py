@@ -72,6 +72,14 @@ def test_ngram_join(spark):
     assert kept.columns == d.columns and {r.doc_id for r in kept.collect()} >= {0, 1, 2, 3}
 
 
+def test_ngram_join_takes_rows_of_one_id_as_versions(spark):
+    w, v = (" ".join(f"{c}{i}" for i in range(60)) for c in "wv")
+    rows = [(1, w), (1, v), (1, w), (2, v + " x"), (3, w + " y"), (4, None), (5, ""), (None, w), (6, "a b"), (7, "A  b")]
+    docs = spark.createDataFrame(rows, "doc_id long, text string")
+    got = sorted(map(tuple, shinglejoin.linked_classes(docs).collect()), key=str)
+    assert got == [(1, 57, 1)] * 3 + [(2, 58, 1), (3, 58, 1), (4, 0, 4), (5, 0, 5), (6, 1, 6), (7, 1, 6), (None, 57, None)]
+
+
 def test_line_dedup(spark):
     d = docs(spark)
     got = linededup.line_classes(d).collect()

@@ -3,8 +3,9 @@
 Lines are split at line feeds and taken as they are. A line of white space only
 is blank: never a duplicate, always kept. Equal lines are one class from the
 start (two hashes of 64 bits). Signatures fill all their slots from one hash per
-shingle and round (later rounds only fill slots still empty), so a long line
-costs about one hash a shingle and a short one a few hundred. Lines that share
+shingle and round (later rounds only fill slots still empty, by the same rule for
+every line), so a long line costs a few hashes a shingle and a short one a few
+hundred in all. Lines that share
 a band of slots are candidates; whole candidate blocks are checked exactly by
 ``overlap``; components of the links keep their first line.
 """
@@ -51,10 +52,14 @@ def line_shingles(cp: np.ndarray, start: np.ndarray, end: np.ndarray, width: int
 
 
 def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.ndarray:
-    """Minimum per line and slot. Round r sends each shingle to one slot; rounds from ``slots`` on send all to slot r - slots, so every slot of a short line fills."""
+    """Minimum per line and slot, a function of the line's distinct shingles alone.
+
+    Round r sends each shingle to one slot; rounds from ``slots`` on send all to slot
+    r - slots. A slot keeps the value of the first round that reaches it, and a line
+    goes on until all its slots are filled, whatever its length.
+    """
     empty, low = np.uint64(0xFFFFFFFFFFFFFFFF), np.uint64(0xFFFFFFFF)
     sig = np.full(lines * slots, empty)
-    size = np.bincount(owner, minlength=lines)
     for r in range(2 * slots):
         h = x if r == 0 else tv.fmix(x + np.uint64(r * 0x9E3779B97F4A7C15 & 0xFFFFFFFFFFFFFFFF))
         at = owner * slots
@@ -66,22 +71,16 @@ def signatures(x: np.ndarray, owner: np.ndarray, lines: int, slots: int) -> np.n
         else:
             at += r - slots
         np.minimum.at(sig, at, (h & low) | np.uint64(r << 32))
-        lack = (sig == empty).reshape(lines, slots).any(axis=1) & (size < 2 * slots)
-        live = lack[owner]
+        live = (sig == empty).reshape(lines, slots).any(axis=1)[owner]
         if not live.any():
             break
         x, owner = x[live], owner[live]
-    sig = sig.reshape(lines, slots)
-    row, col = np.nonzero(sig == empty)  # long lines: an empty slot borrows from one that a hash of the slot names
-    tries = 1
-    while len(row):
-        give = (tv.fmix(col.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(tries)) % np.uint64(slots)).astype(np.int64)
-        got = sig[row, give]
-        fine = (got != empty) & (got >> np.uint64(63) == 0)
-        sig[row[fine], col[fine]] = got[fine] | np.uint64(1 << 63)
-        row, col = row[~fine], col[~fine]
-        tries += 1
-    return sig
+        if r == 3:  # a long line still open repeats few shingles: once each is enough, as a minimum does not count
+            big = (np.bincount(owner, minlength=lines) > 2 * slots)[owner]
+            if big.any():
+                once, off = distinct(x[big], owner[big], lines)
+                x, owner = np.concatenate([x[~big], once]), np.concatenate([owner[~big], np.repeat(np.arange(lines), np.diff(off))])
+    return sig.reshape(lines, slots)
 
 
 def split_lines(docs: DataFrame) -> DataFrame:

@@ -20,7 +20,8 @@ from . import textvec as tv
 from .pretokens import LETTER, NUMBER, SPACE, classes
 
 PASSAGE = 256
-SAMPLE, BAG = 1500, 12  # labelled rows of a fit, and passages of each that it looks at
+SAMPLE = 1500  # labelled rows of a fit; it looks at all their passages
+LOT = 1 << 13  # passages unpacked at once
 #: Punctuation with a class of its own.
 MARKS = ".,!?$%&*#|"
 KINDS = 13 + len(MARKS)
@@ -61,6 +62,22 @@ def passages(rows: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return np.sqrt(x / np.maximum(x.sum(axis=1, keepdims=True), 1)).astype(np.float32), first
 
 
+def pack(x: np.ndarray) -> bytes:
+    """The features of a bag without their zeros, which are most of them."""
+    row, col = np.nonzero(x)
+    held = np.bincount(row, minlength=len(x)).astype(np.uint16)
+    return np.uint32(len(x)).tobytes() + held.tobytes() + col.astype(np.uint16).tobytes() + x[row, col].tobytes()
+
+
+def unpack(b: bytes) -> np.ndarray:
+    n = int(np.frombuffer(b, np.uint32, 1)[0])
+    held = np.frombuffer(b, np.uint16, n, 4)
+    total = int(held.sum(dtype=np.int64))
+    x = np.zeros((n, KINDS * KINDS), np.float32)
+    x[np.repeat(np.arange(n), held), np.frombuffer(b, np.uint16, total, 4 + 2 * n)] = np.frombuffer(b, np.float32, total, 4 + 2 * n + 2 * total)
+    return x
+
+
 @dataclass
 class Model:
     w: np.ndarray
@@ -100,21 +117,26 @@ def gradients(m: Model, x: np.ndarray, first: np.ndarray, y: np.ndarray) -> list
     return [x.T @ dh, dh.sum(axis=0), h.T @ dt, h.T @ dg, (t * g).T @ de, z.T @ ds, np.array([ds.sum()])]
 
 
-def fit(bags: list[np.ndarray], y: np.ndarray, epochs: int = 40, width: int = 24, gate: int = 12, seed: int = 3) -> Model:
-    """Train by Adam on small lots of bags; the same sample gives the same model."""
+def fit(bags: list[bytes], y: np.ndarray, epochs: int = 40, width: int = 24, gate: int = 12, seed: int = 3) -> Model:
+    """Train by Adam on small lots of packed bags, with at most ``LOT`` passages or one bag unpacked at a time; the same sample gives the same model."""
     rng = np.random.default_rng(seed)
     dims = KINDS * KINDS
     r = lambda *k: (rng.normal(size=k) / np.sqrt(k[0])).astype(np.float32)
     m = Model(r(dims, width) * 4, np.zeros(width, np.float32), r(width, gate), r(width, gate), r(gate), r(width), np.zeros(1, np.float32))
     mean, var, step = [np.zeros_like(p) for p in m.parts()], [np.zeros_like(p) for p in m.parts()], 0
+    sizes = np.array([int(np.frombuffer(b, np.uint32, 1)[0]) for b in bags], np.int64)
     for _ in range(epochs):
         order = rng.permutation(len(bags))
         for i in range(0, len(order), 64):
             lot = order[i : i + 64]
-            x = np.concatenate([bags[k] for k in lot])
-            first = np.concatenate([[0], np.cumsum([len(bags[k]) for k in lot])])
             step += 1
-            for p, g, a, b in zip(m.parts(), gradients(m, x, first, y[lot]), mean, var, strict=True):
+            total = [np.zeros_like(p) for p in m.parts()]
+            for j, k in tv.slices(sizes[lot], LOT):
+                held = [unpack(bags[b]) for b in lot[j:k]]
+                first = np.concatenate([[0], np.cumsum(sizes[lot[j:k]])])
+                for t, g in zip(total, gradients(m, np.concatenate(held), first, y[lot[j:k]]), strict=True):
+                    t += g * ((k - j) / len(lot))
+            for p, g, a, b in zip(m.parts(), total, mean, var, strict=True):
                 a += 0.1 * (g - a)
                 b += 0.001 * (g * g - b)
                 p -= 0.01 * (a / (1 - 0.9**step)) / (np.sqrt(b / (1 - 0.999**step)) + 1e-8)
@@ -138,20 +160,16 @@ def learn(docs: DataFrame, labels: DataFrame, sample: int = SAMPLE, label: str =
     def run(batches):
         for keys, rows, piece in tv.text_batches(batches, 1 << 20):
             x, first = passages(rows)
-            out = []
-            for a, b in zip(first[:-1], first[1:], strict=True):
-                out.append(x[np.unique(np.linspace(a, b - 1, min(BAG, b - a)).astype(int))].ravel())
-            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(out, pa.list_(pa.float32())), piece.column(2)], ["doc_id", "x", "y"])
+            packed = [pack(x[a:b]) for a, b in zip(first[:-1], first[1:], strict=True)]
+            yield pa.RecordBatch.from_arrays([pa.array(keys, pa.int64()), pa.array(packed, pa.binary()), piece.column(2)], ["doc_id", "x", "y"])
 
-    got = texts.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, x array<float>, y int").toArrow()
+    got = texts.select("doc_id", "text", "y").mapInArrow(run, "doc_id long, x binary, y int").toArrow()
     order = np.argsort(got["doc_id"].to_numpy(), kind="stable")
     y = got["y"].to_numpy()
     if not len(y):
         return None
-    col = got["x"].combine_chunks()
-    off, flat = col.offsets.to_numpy(), col.values.to_numpy()
-    bags = [flat[off[k] : off[k + 1]].reshape(-1, KINDS * KINDS) for k in order]
-    return fit(bags, y[order].astype(np.float32))
+    packed = got["x"].to_pylist()
+    return fit([packed[k] for k in order], y[order].astype(np.float32))
 
 
 def score(docs: DataFrame, model: Model | None) -> DataFrame:

@@ -237,6 +237,25 @@ def test_classifiers_on_held_out_rows(spark):
     assert langid.learn(odd.limit(0)) is None and quality.learn(odd.limit(0), labels) is None
 
 
+def test_quality_learns_from_every_passage_of_a_long_text(spark):
+    """The labels depend on passage 5 of 40 alone, which an even choice of 12 passages leaves out."""
+    rng = random.Random(4)
+    prose = lambda: "".join(rng.choice("etaoin shrdlu ") for _ in range(quality.PASSAGE))
+    rows, marks = [], []
+    for k in range(360):
+        p = [prose() for _ in range(40)]
+        if k % 2:
+            p[5] = "".join(rng.choice("#$%&|0123") for _ in range(quality.PASSAGE))
+        rows.append((k, "".join(p)))
+        marks.append((k, 1 - k % 2))
+    d = spark.createDataFrame(rows, "doc_id long, text string")
+    labels = spark.createDataFrame(marks, "doc_id long, quality int")
+    got = quality.score(d, quality.learn(d, labels)).join(labels, "doc_id").where("held_out").selectExpr("avg(int(predicted = quality))", "count(*)").first()
+    assert got[0] > 0.95 and got[1] > 50
+    x, first = quality.passages([rows[1][1], ""])
+    assert all((quality.unpack(quality.pack(x[a:b])) == x[a:b]).all() for a, b in zip(first[:-1], first[1:], strict=True))
+
+
 def test_pipeline_stages_keep_columns(spark):
     import corpus_pipeline
 

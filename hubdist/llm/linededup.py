@@ -124,6 +124,11 @@ def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     Null text is one blank line. Of rows that repeat a doc_id each line counts by
     its content; equal places count as equal lines only if their texts are equal.
     """
+    return placed_lines(docs, num, den, width, rows_per_band, bands).drop("h1")
+
+
+def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SHINGLE, rows_per_band: int = ROWS, bands: int = BANDS) -> DataFrame:
+    """``line_classes`` with the hash h1 of each line, which tells lines of rows that repeat a doc_id apart."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     every = cut(line_table(docs), "lines")
     block = components(star_edges(band_table(docs, width, rows_per_band, bands), "key", "h1")).select(F.col("node").alias("h1"), F.col("comp").alias("block"))
@@ -150,16 +155,20 @@ def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     named = first.join(comp, ["h1", "h2"], "left").where("n > 1 or comp is not null").select("h1", "h2", F.coalesce("comp", "rep").alias("cls"))
     out = every.join(named, ["h1", "h2"], "left")
     own = F.when(F.col("ink") & F.col("doc_id").isNotNull(), F.coalesce("cls", place)).otherwise(place)
-    return out.select("doc_id", "line_no", own.alias("cls")).select("doc_id", "line_no", F.col("cls.doc_id").alias("class_doc"), F.col("cls.line_no").alias("class_line"), (F.col("doc_id").eqNullSafe(F.col("cls.doc_id")) & (F.col("line_no") == F.col("cls.line_no"))).alias("kept"))
+    return out.select("doc_id", "line_no", "h1", own.alias("cls")).select("doc_id", "line_no", "h1", F.col("cls.doc_id").alias("class_doc"), F.col("cls.line_no").alias("class_line"), (F.col("doc_id").eqNullSafe(F.col("cls.doc_id")) & (F.col("line_no") == F.col("cls.line_no"))).alias("kept"))
 
 
 def drop_repeated_lines(docs: DataFrame, **how) -> DataFrame:
-    """Documents with only the kept lines in ``text`` (and ``n_chars`` to match, where there is one); no row goes, columns stay."""
-    found = line_classes(docs, **how)
-    gone = found.where(~F.col("kept")).groupBy("doc_id").agg(F.collect_set("line_no").alias("_gone")).withColumnRenamed("doc_id", "_id")
+    """Documents with only the kept lines in ``text`` (and ``n_chars`` to match, where there is one); no row goes, columns stay.
+
+    Of rows that repeat a doc_id each loses only lines of its own; equal lines at one
+    place of such rows stay in all of them, as rows go in the document join.
+    """
+    found = placed_lines(docs, **how)
+    gone = found.where(~F.col("kept")).groupBy("doc_id").agg(F.collect_set(F.struct("line_no", "h1")).alias("_gone")).withColumnRenamed("doc_id", "_id")
     out = docs.join(gone, F.col("doc_id") == F.col("_id"), "left")
     lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("_gone"), i)), "\n")
+    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("_gone"), F.struct(i.alias("line_no"), F.xxhash64(x).alias("h1")))), "\n")
     out = out.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept))
     if "n_chars" in docs.columns:
         out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))

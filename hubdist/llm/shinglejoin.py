@@ -18,7 +18,7 @@ import math
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from ..plans.scratch import cut
@@ -178,7 +178,16 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
 
 
 def keep_one(docs: DataFrame, width: int = 4, num: int = 85, den: int = 100) -> DataFrame:
-    """Documents without those whose component holds a smaller doc_id; rows with a null doc_id stay."""
+    """One row of each component, of its smallest doc_id; rows with a null doc_id stay.
+
+    Of rows that repeat this doc_id the longest text stays, then by its hash, then any of equal rows.
+    """
     found = linked_classes(docs, width, num, den)
     gone = found.where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
-    return docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    many = docs.where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("_many")).count().where("count > 1").select("_many")
+    left = docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    if not many.limit(1).count():
+        return left
+    w = Window.partitionBy("doc_id").orderBy(F.length("text").desc_nulls_last(), F.xxhash64("text"))
+    several = left.join(many, F.col("doc_id") == F.col("_many"), "left_semi").withColumn("_row", F.row_number().over(w)).where("_row = 1").drop("_row")
+    return left.join(many, F.col("doc_id") == F.col("_many"), "left_anti").unionByName(several)

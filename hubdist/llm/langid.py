@@ -14,7 +14,7 @@ from functools import cache
 
 import numpy as np
 import pyarrow as pa
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
 
 from . import textvec as tv
@@ -110,7 +110,11 @@ def predict(model: Model, x: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.nda
 
 
 def learn(docs: DataFrame, sample: int = SAMPLE) -> Model | None:
-    """Fit from the rows of ``docs`` (doc_id, text, lang), at most ``sample`` of them, even over languages and picked by a hash of the id; None without any."""
+    """Fit from the rows of ``docs`` (doc_id, text, lang), even over languages and picked by a hash of the id; None without any.
+
+    Each language gives at most ``sample`` divided by their number, but 4 at least, so the
+    rows are at most the larger of ``sample`` and 4 a language; no language is left out.
+    """
     known = docs.where("lang is not null and text is not null and doc_id is not null")
     counts = {r[0]: r[1] for r in known.groupBy("lang").count().collect()}
     if not counts:
@@ -129,7 +133,9 @@ def learn(docs: DataFrame, sample: int = SAMPLE) -> Model | None:
                 flat = x[has].astype(np.float32)
                 yield pa.RecordBatch.from_arrays([pa.ListArray.from_arrays(pa.array(np.arange(len(flat) + 1) * DIMS, pa.int32()), pa.array(flat.ravel())), part.column(1).take(keep), part.column(2).take(keep)], ["x", "lang", "draw"])
 
-    got = picked.mapInArrow(run, "x array<float>, lang string, draw double").orderBy("draw").limit(2 * sample).toArrow()
+    got = picked.mapInArrow(run, "x array<float>, lang string, draw double")
+    place = F.row_number().over(Window.partitionBy("lang").orderBy("draw"))
+    got = got.withColumn("place", place).where(F.col("place") <= quota).orderBy("draw", "lang").toArrow()
     y = got["lang"].to_pylist()
     if not y:
         return None

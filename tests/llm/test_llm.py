@@ -267,6 +267,13 @@ def test_quality_learns_from_every_passage_of_a_long_text(spark):
     assert all((quality.unpack(quality.pack(x[a:b])) == x[a:b]).all() for a, b in zip(first[:-1], first[1:], strict=True))
 
 
+def test_language_sample_keeps_every_language(spark, monkeypatch):
+    monkeypatch.setattr(langid, "fit", lambda x, y: y)
+    rows = [(100 * k + i, f"text {k} of {i}", f"l{k}") for k in range(100) for i in range(30 if k else 4)]
+    y = langid.learn(spark.createDataFrame(rows, "doc_id long, text string, lang string"), sample=100)
+    assert len(set(y)) == 100 and y.count("l0") == 4 and max(map(y.count, set(y))) <= 4
+
+
 def test_pipeline_stages_keep_columns(spark):
     import corpus_pipeline
 

@@ -2,7 +2,9 @@
 
 Each round rewires every node's neighbours to the smallest node it can see,
 first larger neighbours, then smaller ones. Stars appear after few rounds. Keys
-may be of any type with an order, structs included.
+may be of any type with an order, structs included. What a join meets is written
+first, so that both its sides are plain exchanges and the centre of a large star,
+one key of many rows, can be dealt over several tasks by the skew join.
 """
 
 from __future__ import annotations
@@ -14,10 +16,11 @@ from ..plans.scratch import cut, drop
 
 
 def star_edges(df: DataFrame, key: str, item: str) -> DataFrame:
-    """Links (a, b) from each item to the smallest item under the same key; a bucket of any size spills, and sorting by the key alone is a radix sort."""
+    """(a, b, n): b is the smallest item under n of the keys of item a; a bucket of any size spills, and sorting by the key alone is a radix sort."""
     from pyspark.sql import Window
 
-    return df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b").distinct()
+    star = df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b")
+    return star.groupBy("a", "b").agg(F.count("*").alias("n"))
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -26,25 +29,22 @@ def components(edges: DataFrame) -> DataFrame:
     Null ends and loops are ignored, repeated links count once; no links, no rows.
     """
     now = cut(edges.select(F.greatest("a", "b").alias("a"), F.least("a", "b").alias("b")).where("a <> b").distinct(), "links")
-    mark = _mark(now)
-    while mark[0]:
+    while not _stars(now):
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
-        low = both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m"))
+        low = cut(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "low")
         large = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
         large = cut(large, "large")
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").select(F.when(F.col("b") != F.col("m"), F.col("b")).otherwise(F.col("a")).alias("a"), F.col("m").alias("b"))
         nxt = cut(small.where("a <> b").distinct(), "links")
-        drop(large)
-        drop(now)
-        now, before, mark = nxt, mark, _mark(nxt)
-        if mark == before:
-            break
+        for x in (low, large, now):
+            drop(x)
+        now = nxt
     roots = now.select(F.col("b").alias("node"), F.col("b").alias("comp")).distinct()
     return now.select(F.col("a").alias("node"), F.col("b").alias("comp")).unionByName(roots)
 
 
-def _mark(df: DataFrame) -> tuple:
-    h = F.xxhash64("a", "b")
-    r = df.agg(F.count("*"), F.sum(h.cast("decimal(38,0)")), F.bit_xor(h)).first()
-    return tuple(r)
+def _stars(df: DataFrame) -> bool:
+    """Whether every node with a link has just one, to a node that has none: links go to smaller nodes, so that one is the smallest."""
+    ends = df.select(F.col("a").alias("x"), F.lit(1).alias("out")).unionByName(df.select(F.col("b").alias("x"), F.lit(0).alias("out")))
+    return ends.groupBy("x").agg(F.sum("out").alias("out"), F.count("*").alias("n")).where("out > 1 or (out = 1 and n > 1)").isEmpty()

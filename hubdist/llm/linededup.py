@@ -6,8 +6,9 @@ start (two hashes of 64 bits). Signatures fill all their slots from one hash per
 shingle and round (later rounds only fill slots still empty, by the same rule for
 every line), so a long line costs a few hashes a shingle and a short one a few
 hundred in all. Lines that share
-a band of slots are candidates; whole candidate blocks are checked exactly by
-``overlap``; components of the links keep their first line.
+a band of slots are candidates; each meets the centre of its band lines, then what
+is still apart in its block (``overlap``), by exact Jaccard; components of the links
+keep their first line.
 """
 
 from __future__ import annotations
@@ -19,8 +20,9 @@ from pyspark.sql import functions as F
 
 from ..plans.scratch import cut
 from . import textvec as tv
-from .graph import components, star_edges
-from .overlap import block_links, distinct
+from .columns import own_names
+from .graph import star_edges
+from .overlap import distinct, linked_items
 from .pretokens import WHITE
 
 SHINGLE = 8
@@ -131,18 +133,20 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     """``line_classes`` with the hash h1 of each line, which tells lines of rows that repeat a doc_id apart."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     every = cut(line_table(docs), "lines")
-    block = components(star_edges(band_table(docs, width, rows_per_band, bands), "key", "h1")).select(F.col("node").alias("h1"), F.col("comp").alias("block"))
+    near = cut(star_edges(band_table(docs, width, rows_per_band, bands), "key", "h1"), "near")
     place = F.struct("doc_id", "line_no")
     inked = every.where("ink and doc_id is not null")
     first = cut(inked.groupBy("h1", "h2").agg(F.min(place).alias("rep"), F.count("*").alias("n"), F.max("size").alias("size")), "reps")
-    chosen = cut(first.join(block, "h1").select("rep", "h1", "h2", "block", F.col("size").alias("weight")), "chosen")
-    wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2", "block")).alias("want"))
+    nodes = near.select(F.explode(F.array("a", "b")).alias("h1")).distinct()
+    chosen = cut(first.join(nodes, "h1").select("rep", "h1", "h2", F.col("size").alias("weight")), "chosen")
+    wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2")).alias("want"))
     line = docs.join(wanted, "doc_id").select("doc_id", "want", F.split("text", "\n", -1).alias("lines"))
     line = line.select("doc_id", F.explode(F.transform("want", lambda w: F.struct(w.alias("w"), F.get("lines", w.line_no).alias("line")))).alias("x"))
     line = line.select("doc_id", "x.w.*", "x.line")
     h1, h2 = digests("line")
     same = line.where((h1 == F.col("h1")) & (h2 == F.col("h2")))  # a repeated doc_id may hold another line there
-    members = same.select("block", F.struct("doc_id", "line_no", "h1", "h2").alias("item"), F.col("line").alias("text"))
+    texts = same.select(F.struct("doc_id", "line_no", "h1", "h2").alias("item"), F.col("line").alias("text"))
+    items = chosen.select(F.col("h1").alias("node"), F.struct("rep.doc_id", "rep.line_no", "h1", "h2").alias("item"), "weight")
 
     def sets(table):
         cp, off = tv.code_points(tv.texts(table["text"]))
@@ -150,7 +154,7 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
         x, at = distinct(x, owner, len(off) - 1)
         return x.view(np.int64), at, np.arange(len(off) - 1)
 
-    comp = components(block_links(members, chosen, sets, num, den)).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
+    comp = linked_items(near, items, texts, sets, num, den).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
     # only classes of several lines say anything; the rest are their own
     named = first.join(comp, ["h1", "h2"], "left").where("n > 1 or comp is not null").select("h1", "h2", F.coalesce("comp", "rep").alias("cls"))
     out = every.join(named, ["h1", "h2"], "left")
@@ -165,11 +169,12 @@ def drop_repeated_lines(docs: DataFrame, **how) -> DataFrame:
     place of such rows stay in all of them, as rows go in the document join.
     """
     found = placed_lines(docs, **how)
-    gone = found.where(~F.col("kept")).groupBy("doc_id").agg(F.collect_set(F.struct("line_no", "h1")).alias("_gone")).withColumnRenamed("doc_id", "_id")
-    out = docs.join(gone, F.col("doc_id") == F.col("_id"), "left")
+    cut_, key = own_names(docs, 2)
+    gone = found.where(~F.col("kept")).groupBy(F.col("doc_id").alias(key)).agg(F.collect_set(F.struct("line_no", "h1")).alias(cut_))
+    out = docs.join(gone, F.col("doc_id").cast("long") == F.col(key), "left")
     lines = F.split("text", "\n", -1)
-    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col("_gone"), F.struct(i.alias("line_no"), F.xxhash64(x).alias("h1")))), "\n")
-    out = out.withColumn("text", F.when(F.col("_gone").isNull(), F.col("text")).otherwise(kept))
+    kept = F.array_join(F.filter(lines, lambda x, i: ~F.array_contains(F.col(cut_), F.struct(i.alias("line_no"), F.xxhash64(x).alias("h1")))), "\n")
+    changed = {"text": F.when(F.col(cut_).isNull(), F.col("text")).otherwise(kept)}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_gone").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return out.select(*docs.columns)
+        changed["n_chars"] = F.when(F.col(cut_).isNull(), F.col("n_chars")).otherwise(F.length(changed["text"]).cast(docs.schema["n_chars"].dataType))
+    return out.withColumns(changed).select(*docs.columns)

@@ -1,17 +1,26 @@
-"""Exact set-overlap search inside blocks: occurrence counting with long lists set aside.
-
-A block holds items of which any two may link; whoever made the blocks must put
-every linked pair into one block. For an item of n tokens a partner has to hold
-T of them. Its longest inverted lists are left out, up to T - 1 of them; the
-short ones are merged by counting, and an item found in enough of these is
-looked up in the long ones by binary probes. What reaches the overlap is checked
-against the exact ratio. Only links that join two groups not yet joined inside
-the task are returned, so a group of n near copies yields at most n - 1 links a
-task, and none of its connections is lost.
+"""Exact set-overlap search: occurrence counting with long lists set aside, over tasks of bounded size.
+
+Whoever calls names, for each key that items share, the smallest item under it;
+any two items that may link must hang together through shared keys. The search
+has two passes:
+
+1. Every item meets one centre, the smallest item under most of its keys. A
+   group of n near copies is joined here by n comparisons.
+2. Items that still lie in different components of one block meet each other;
+   blocks already joined are done. In a block too large for a task, all others
+   meet the largest component chunk by chunk, so its members travel once for
+   each chunk of the others, never for each chunk of their own.
+
+Inside a task, an item of n tokens needs T of them in a partner. Its longest
+inverted lists are left out, up to T - 1 of them; the short ones are merged, and
+an item found in enough of these is looked up in the long ones by binary probes.
+What reaches the overlap is checked against the exact ratio. Only links that join
+two groups not yet joined inside the task are returned, so no connection is lost.
 """
 
 from __future__ import annotations
 
+import heapq
 import math
 from collections.abc import Callable, Iterator
 
@@ -21,10 +30,11 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from ..plans.scratch import cut
-
+from ..plans.scratch import cut, drop
+from .graph import components
 
 LONG = 64  # a list of at most so many items is merged, never set aside
+HEAP = 512  # up to so many places are merged by a heap, more by a merge sort whose runs are the lists
 
 
 class Sets:
@@ -50,6 +60,34 @@ class Sets:
         return True
 
 
+def merged(posts: np.ndarray, start: np.ndarray, lens: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
+    """Items of several sorted lists and how many of the lists hold each."""
+    total = int(lens.sum())
+    if total <= HEAP:
+        runs = [iter(posts[a : a + n].tolist()) for a, n in zip(start.tolist(), lens.tolist(), strict=True)]
+        heap = [(next(r), k) for k, r in enumerate(runs)]
+        heapq.heapify(heap)
+        items: list[int] = []
+        counts: list[int] = []
+        while heap:
+            item, k = heap[0]
+            if items and items[-1] == item:
+                counts[-1] += 1
+            else:
+                items.append(item)
+                counts.append(1)
+            nxt = next(runs[k], None)
+            if nxt is None:
+                heapq.heappop(heap)
+            else:
+                heapq.heapreplace(heap, (nxt, k))
+        return np.array(items, np.int64), np.array(counts, np.int64)
+    heads = np.cumsum(lens) - lens
+    every = np.sort(posts[np.repeat(start - heads, lens) + np.arange(total)], kind="stable")
+    edge = np.flatnonzero(np.concatenate([[True], every[1:] != every[:-1]]))
+    return every[edge], np.diff(np.append(edge, total))
+
+
 def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.ndarray, num: int, den: int) -> Iterator[tuple[int, int]]:
     """Spanning links (i, j) among items with den * overlap >= num * union in the same block.
 
@@ -62,11 +100,6 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
     name, names = pd.factorize(block)
     if len(names) > 1:  # lists never leave a block
         code, uniq = pd.factorize(name[owner] * len(uniq) + code)
-    held = np.bincount(name, minlength=len(names))
-    first = np.cumsum(held) - held
-    inside = np.argsort(name, kind="stable")  # items block by block
-    place = np.empty(n, np.int64)
-    place[inside] = np.arange(n) - first[name[inside]]
     df = np.bincount(code, minlength=len(uniq))
     live = df[code] > 1
     owner, code = owner[live], code[live]
@@ -92,23 +125,21 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
                 own, lens, long = own[:-aside], lens[:-aside], own[-aside:]
         if not len(own):
             continue
-        heads = np.cumsum(lens) - lens
-        merged = posts[np.repeat(start[own] - heads, lens) + np.arange(int(lens.sum()))]
-        counts = np.bincount(place[merged], minlength=held[name[x]])
+        found, counts = merged(posts, start[own], lens)
+        enough_here = counts >= max(1, need - len(long))
         if not mixed:
-            counts[: place[x] + 1] = 0
-        seen = np.flatnonzero(counts >= max(1, need - len(long)))
-        if not len(seen):
+            enough_here &= found > x
+        found, counts = found[enough_here], counts[enough_here]
+        if not len(found):
             continue
-        found = inside[first[name[x]] + seen]
         fits = (den * sizes[found] >= num * size) & (num * sizes[found] <= den * size)
         if mixed:
             fits &= side[found] == 1
         root = joined.find(x)
-        found = np.array([y for y in found[fits].tolist() if joined.find(y) != root], np.int64)
+        fits[fits] = [joined.find(y) != root for y in found[fits].tolist()]
+        found, total = found[fits], counts[fits]
         if not len(found):
             continue
-        total = counts[place[found]]
         if len(long):
             want = long[:, None] * n + found[None, :]
             k = np.minimum(np.searchsorted(probe, want), len(probe) - 1)
@@ -119,22 +150,54 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
                 yield x, y
 
 
-def deal(members: DataFrame, weights: DataFrame, budget: int = 1_000_000) -> DataFrame:
-    """``members`` (block long, item, more) with the ``task`` and ``side`` of each place; ``weights``: (block, weight) of the same items.
+def _tasks(groups: DataFrame, key: str, budget: int) -> tuple[DataFrame, int]:
+    """Groups (key, total) with the number of chunks ``c`` each needs, and how many tasks the small ones share."""
+    small = groups.where(F.col("total") <= budget).agg(F.sum("total")).first()[0] or 0
+    return groups.withColumn("c", F.ceil(F.col("total") / F.lit(budget)).cast("int")), max(1, math.ceil(small / budget))
+
 
-    Small blocks share a task, up to ``budget`` of weight; a larger block is dealt
-    into chunks and every pair of chunks is a task, so memory is bounded whatever
-    a block holds.
+def _shared(key: str, n: int):
+    return F.concat_ws("/", F.lit("s"), F.pmod(F.xxhash64(key), F.lit(n)).cast("string"))
+
+
+def centre_places(placed: DataFrame, budget: int) -> DataFrame:
+    """(task, block, side, item): every item of ``placed`` (node, item, weight, p) with its centre p, which is a node too; side 0 is the centre."""
+    own = placed.where("node <> p")
+    groups = cut(own.groupBy("p").agg(F.sum("weight").cast("long").alias("total")), "groups")
+    groups, n = _tasks(groups, "p", budget)
+    task = F.when(F.col("c") > 1, F.concat_ws("/", F.lit("p"), F.col("p").cast("string"), F.col("chunk").cast("string"))).otherwise(_shared("p", n))
+    members = own.join(groups, "p").withColumn("chunk", F.pmod(F.xxhash64("item", F.lit(7)), F.col("c")).cast("int")).withColumn("side", F.lit(1))
+    centres = groups.join(placed.select(F.col("node").alias("p"), "item"), "p").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("c") - 1))).withColumn("side", F.lit(0))
+    return members.select("p", "c", "chunk", "side", "item").unionByName(centres.select("p", "c", "chunk", "side", "item")).select(task.alias("task"), F.xxhash64("p", "chunk").alias("block"), "side", "item")
+
+
+def block_places(placed: DataFrame, comps: DataFrame, budget: int) -> DataFrame:
+    """(task, block, side, item) of the blocks in ``placed`` (item, weight, block) that ``comps`` (node, comp) leaves in several components.
+
+    A block of two items is done, as its items have met. Small blocks share a task and
+    compare all their items. In a larger one, chunks of its largest component meet
+    chunks of the rest, and chunks of the rest meet each other.
     """
-    sizes = cut(weights.groupBy("block").agg(F.sum("weight").cast("long").alias("total")), "blocks")
-    small = sizes.where(F.col("total") <= budget).agg(F.sum("total")).first()[0] or 0
-    groups = max(1, math.ceil(small / budget))
-    many = members.join(sizes, "block").withColumn("c", F.ceil(F.col("total") / F.lit(budget)).cast("int"))
-    chunk = F.when(F.col("c") > 1, F.pmod(F.xxhash64("item", F.lit(7)), F.col("c"))).otherwise(0).cast("int")
-    many = many.withColumn("own", chunk).withColumn("other", F.explode(F.when(F.col("c") > 1, F.sequence(F.lit(0), F.col("c") - 1)).otherwise(F.array(F.lit(0)))))
-    task = F.when(F.col("c") > 1, F.concat_ws("/", F.lit("b"), F.xxhash64("block").cast("string"), F.least("own", "other").cast("string"), F.greatest("own", "other").cast("string"))).otherwise(F.concat_ws("/", F.lit("s"), F.pmod(F.xxhash64("block"), F.lit(groups)).cast("string")))
-    extra = [c for c in members.columns if c not in ("block", "item")]
-    return many.select(task.alias("task"), "block", F.when(F.col("own") > F.col("other"), 1).when(F.col("own") < F.col("other"), 0).otherwise(2).alias("side"), "item", *extra)
+    cls = placed.join(comps.withColumnRenamed("node", "item"), "item", "left").select("block", "item", "weight", F.coalesce("comp", "item").alias("cls"))
+    cls = cut(cls, "classes")
+    per = cls.groupBy("block", "cls").agg(F.sum("weight").cast("long").alias("w"), F.count("*").alias("n"))
+    blocks = per.groupBy("block").agg(F.count("*").alias("k"), F.sum("n").alias("n"), F.sum("w").alias("total"), F.max(F.struct("w", "cls")).alias("big")).where("k > 1 and n > 2")
+    blocks = cut(blocks.select("block", "total", F.col("big.cls").alias("big"), F.col("big.w").alias("bw")), "blocks")
+    blocks, n = _tasks(blocks, "block", budget)
+    at = cls.join(blocks, "block")
+    small = at.where("c = 1").select(_shared("block", n).alias("task"), "block", F.lit(2).alias("side"), "item")
+    large = at.where("c > 1").withColumn("cl", F.greatest(F.ceil(F.col("bw") / F.lit(budget)), F.lit(1)).cast("int")).withColumn("co", F.greatest(F.ceil((F.col("total") - F.col("bw")) / F.lit(budget)), F.lit(1)).cast("int"))
+    h = F.xxhash64("item", F.lit(7))
+    chunk = F.when(F.col("cls") == F.col("big"), F.pmod(h, F.col("cl"))).otherwise(F.pmod(h, F.col("co"))).cast("int")
+    large = large.withColumn("chunk", chunk).withColumn("id", F.xxhash64("block").cast("string"))
+    name = lambda kind, i, j: F.concat_ws("/", F.lit(kind), F.col("id"), i.cast("string"), j.cast("string"))
+    each = lambda c: F.explode(F.sequence(F.lit(0), F.col(c) - 1))
+    big = large.where("cls = big").withColumn("j", each("co")).select(name("l", F.col("chunk"), F.col("j")).alias("task"), "block", F.lit(1).alias("side"), "item")
+    rest = large.where("cls <> big")
+    across = rest.withColumn("j", each("cl")).select(name("l", F.col("j"), F.col("chunk")).alias("task"), "block", F.lit(0).alias("side"), "item")
+    side = F.when(F.col("chunk") > F.col("j"), 1).when(F.col("chunk") < F.col("j"), 0).otherwise(2)
+    among = rest.withColumn("j", each("co")).select(name("o", F.least("chunk", "j"), F.greatest("chunk", "j")).alias("task"), "block", side.alias("side"), "item")
+    return small.unionByName(big).unionByName(across).unionByName(among)
 
 
 def verified(dealt: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int) -> DataFrame:
@@ -164,9 +227,26 @@ def verified(dealt: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.n
     return dealt.groupBy("task").applyInArrow(run, f"a {kind}, b {kind}")
 
 
-def block_links(members: DataFrame, weights: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
-    """Exact links (a, b) of ``members``: (block, item, what ``sets`` needs); texts travel, not tokens, as they are several times smaller."""
-    return verified(deal(members, weights, budget), sets, num, den)
+def linked_items(near: DataFrame, items: DataFrame, texts: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
+    """(node, comp): components of the exact links among ``items`` (node, item, weight); an item without links has no row.
+
+    ``near`` (a, b, n): node b is the smallest node under n keys of node a. ``texts``
+    (item, what ``sets`` needs); texts travel, not tokens, as they are several times
+    smaller.
+    """
+    block = components(near.select("a", "b"))
+    centre = near.groupBy("a").agg(F.min(F.struct((-F.col("n")).alias("n"), "b")).alias("m")).select(F.col("a").alias("node"), F.col("m.b").alias("p"))
+    at = block.select("node", F.col("comp").alias("block")).join(centre, "node", "left").select("node", "block", F.coalesce("p", "node").alias("p"))
+    placed = cut(items.join(at, "node"), "placed")
+    texts = cut(texts.join(placed.select("item").distinct(), "item", "left_semi"), "texts")
+    first = components(verified(centre_places(placed, budget).join(texts, "item"), sets, num, den))
+    rest = verified(block_places(placed, first, budget).join(texts, "item"), sets, num, den)
+    rest = cut(rest, "found")
+    if rest.isEmpty():
+        return first
+    out = components(first.select(F.col("node").alias("a"), F.col("comp").alias("b")).unionByName(rest))
+    drop(texts)
+    return out
 
 
 def distinct(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:

@@ -1,21 +1,21 @@
 """Self-join of documents by the Jaccard similarity of their word n-grams, exact.
 
 1. Equal sets are one class from the start, however many copies it has.
-2. Candidates by pigeonhole: sets of given sizes that link differ in at most k
-   elements, so of k + 1 + z parts, into which a hash deals all elements, 1 + z
-   agree wholly. Each part of a set is one key; sets that share a key fall into
-   one block. A part holds several elements, so a passage shared by many texts
-   makes no candidates. Empty parts count only where a set has more than z.
-3. Inside blocks an occurrence search over inverted lists (``overlap``) finds
-   the links, which then give components.
-
-Nothing is sampled or capped; every link has its pair in one block.
+2. Candidates by a T-occurrence search over the whole table. Sets of n elements
+   that link share T(n) of them at least. In the order of the elements' hashes the
+   first n - T + L elements of both then share L at least; only these are posted.
+   An element that one set posts says nothing. Of the rest a set leaves its L' - 1
+   longest lists out, L' being the L of its smallest partner, and still meets every
+   partner in the lists it keeps. A passage that many texts share makes long lists,
+   so it goes unless it is most of a text.
+3. Inside tasks an occurrence search over inverted lists (``overlap``) finds the
+   links, which then give components.
+
+Nothing is sampled or capped; every link has its pair in one list at least.
 """
 
 from __future__ import annotations
 
-import math
-
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
@@ -23,10 +23,10 @@ from pyspark.sql import functions as F
 
 from ..plans.scratch import cut
 from . import textvec as tv
+from .columns import own_names
 from .graph import components, star_edges
-from .overlap import deal, distinct, verified
+from .overlap import distinct, linked_items
 
-SPARE = 3
 _WHITE = np.zeros(256, bool)
 _WHITE[[32, *range(9, 14)]] = True
 _LOWER = np.arange(256, dtype=np.uint8)
@@ -46,8 +46,7 @@ def shingle_sets(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndar
     ends = word.copy()
     ends[:-1] &= white[1:] | edge[1:-1]
     s, e = np.flatnonzero(begins), np.flatnonzero(ends) + 1
-    p = tv.prefix(low)
-    h = tv.span_hash(p, s, e)
+    h = tv.word_hashes(low, s, e)
     row, words = tv.spans_of(s, n, off)
     first = np.concatenate([[0], np.cumsum(words)])
     # a shingle is a span over word hashes, taken as characters of a second text
@@ -59,37 +58,27 @@ def shingle_sets(data: np.ndarray, off: np.ndarray, width: int) -> tuple[np.ndar
     return distinct(x, owner, n)
 
 
-def bands(limit: int, num: int, den: int) -> list[int]:
-    """Upper set sizes of the bands: sizes that can link lie in one band or in two that touch."""
-    out = [1]
-    while out[-1] < limit:
-        out.append(max(out[-1] + 1, out[-1] * den // num))
-    return out
+def overlap_needed(n, num: int, den: int):
+    """T: elements that a set of n shares with any partner, at least."""
+    return -(-num * n // den)
 
 
-def spare_parts(differ: int) -> int:
-    """Parts beyond those that can differ: more than a set of this size leaves empty, but for rare ones, so that hardly any set needs keys of empty parts."""
-    return SPARE + -(-3 * differ // 200) + math.isqrt(36 * differ // 100 + 1)
+def agreed(n, num: int, den: int):
+    """L: posted elements that two linked sets share, of which the smaller has n; the more, the more long lists can be left out."""
+    return 1 + n * (den - num) // den
 
 
-def part_keys(x: np.ndarray, tops: list[int], num: int, den: int) -> np.ndarray:
-    """Keys of one set: one for each non-empty part, in the schemes of its own band and of the one below."""
-    size = len(x)
-    own = int(np.searchsorted(tops, size))
-    out = []
-    for scheme in {own, max(own - 1, 0)}:
-        most = tops[min(scheme, len(tops) - 1)] + tops[min(scheme + 1, len(tops) - 1)]
-        differ = most * (den - num) // (den + num)
-        spare = spare_parts(differ)
-        parts = differ + 1 + spare
-        spread = tv.fmix(x ^ np.uint64(0x5851F42D4C957F2D))
-        part = (spread >> np.uint64(32)) * np.uint64(parts) >> np.uint64(32)
-        total = np.zeros(parts, np.uint64)
-        np.add.at(total, part.astype(np.int64), tv.fmix(spread))
-        held = np.bincount(part.astype(np.int64), minlength=parts) > 0
-        use = np.arange(parts) if parts - held.sum() > spare else np.flatnonzero(held)
-        out.append(tv.fmix(total[use] + use.astype(np.uint64) * np.uint64(0x9E3779B97F4A7C15) + np.uint64(scheme * 0x1F123BB5 + 1)))
-    return np.concatenate(out)
+def posted(x: np.ndarray, at: np.ndarray, num: int, den: int) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Elements that each set posts, its owner, and how many of the longest lists the owner leaves out; sets that link only with equal ones post none."""
+    n = np.diff(at)
+    owner = np.repeat(np.arange(len(n)), n)
+    uniq, code = np.unique(x, return_inverse=True)
+    pair = np.sort(owner * len(uniq) + code)
+    owner, code = np.divmod(pair, max(1, len(uniq)))
+    need = overlap_needed(n, num, den)
+    first = np.where(n * den >= num * (n + 1), n - need + agreed(n, num, den), 0)
+    keep = np.arange(len(owner)) - at[:-1][owner] < first[owner]
+    return uniq[code[keep]], owner[keep], agreed(need, num, den) - 1
 
 
 def digest(x: np.ndarray, at: np.ndarray) -> np.ndarray:
@@ -129,29 +118,31 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
     every = cut(classes(docs, width), "sets")
     real = every.where("n > 0 and doc_id is not null")
     reps = cut(real.groupBy("d1", "d2", "n").agg(F.min("doc_id").alias("rep")), "classes")
-    limit = reps.agg(F.max("n")).first()[0] or 1
-    tops = bands(int(limit) * den // num + 1, num, den)
     named = docs.where("doc_id is not null and text is not null").select("doc_id", "text")
 
-    def keys(batches):
-        # a set is named by 64 bits of its digest: equal sets of a task count once, and two sets of one name only share a block
+    def posts(batches):
+        # a set is named by 64 bits of its digest: equal sets of a task count once, and two sets of one name only share their lists
         met = set()
         for _, data, off in _pieces(batches, 1 << 20):
             x, at = shingle_sets(data, off, width)
-            names, fresh = digest(x, at), []
-            for k, v in enumerate(names.tolist()):
-                if at[k + 1] > at[k] and v not in met:
-                    met.add(v)
-                    fresh.append(k)
-            held = [part_keys(x[at[k] : at[k + 1]], tops, num, den) for k in fresh]
-            n = np.fromiter(map(len, held), np.int64, len(held))
-            flat = np.concatenate([np.zeros(0, np.uint64), *held]).view(np.int64)
-            owner = np.repeat(names[np.array(fresh, np.int64)], n)
-            for i in range(0, len(flat), 200_000):
-                yield pa.RecordBatch.from_arrays([pa.array(flat[i : i + 200_000]), pa.array(owner[i : i + 200_000])], ["key", "d1"])
-
-    near = star_edges(named.mapInArrow(keys, "key long, d1 long"), "key", "d1")
-    block = components(near).select(F.col("node").alias("d1"), F.col("comp").alias("block"))
+            names = digest(x, at)
+            fresh = np.zeros(len(names), bool)
+            for k in np.flatnonzero(np.diff(at)).tolist():
+                if names[k] not in met:
+                    met.add(names[k])
+                    fresh[k] = True
+            n = np.diff(at)
+            x, names = x[np.repeat(fresh, n)], names[fresh]
+            key, owner, out = posted(x, np.concatenate([[0], np.cumsum(n[fresh])]), num, den)
+            key, owner, out = key.view(np.int64), names[owner], out[owner].astype(np.int32)
+            for i in range(0, len(key), 200_000):
+                yield pa.RecordBatch.from_arrays([pa.array(v[i : i + 200_000]) for v in (key, owner, out)], ["key", "d1", "out"])
+
+    key = Window.partitionBy("key")
+    held = named.mapInArrow(posts, "key long, d1 long, out int").select("*", F.count("*").over(key).alias("size"), F.min("d1").over(key).alias("lo"), F.max("d1").over(key).alias("hi")).where("lo < hi")
+    longest = F.row_number().over(Window.partitionBy("d1").orderBy(F.desc("size"), "key"))
+    kept = held.dropDuplicates(["key", "d1"]).withColumn("place", longest).where("place > out")
+    near = cut(star_edges(kept.select("key", "d1"), "key", "d1"), "near")
 
     def sets(table):
         text = table["text"].combine_chunks()
@@ -159,13 +150,10 @@ def linked_classes(docs: DataFrame, width: int = 4, num: int = 85, den: int = 10
         sizes = np.concatenate([np.zeros(1, np.int64), *[np.diff(at) for _, at in held]])
         return np.concatenate([np.zeros(0, np.uint64), *[x for x, _ in held]]).view(np.int64), np.cumsum(sizes), np.arange(table.num_rows)
 
-    sized = cut(reps.join(block, "d1").groupBy("block", F.col("rep").alias("item")).agg(F.max("n").alias("weight")), "members")
-    # places are dealt before texts join them, so a text travels to its id and to its task only
-    dealt = deal(sized.select("block", "item"), sized).withColumnRenamed("item", "doc_id")
-    members = named.withColumn("mark", F.xxhash64("text")).join(dealt, "doc_id").withColumnRenamed("doc_id", "item")
-    found = verified(members, sets, num, den)
+    items = reps.select(F.col("d1").alias("node"), F.col("rep").alias("item"), F.col("n").alias("weight"))
+    texts = named.select(F.col("doc_id").alias("item"), "text", F.xxhash64("text").alias("mark"))
+    repeated = linked_items(near, items, texts, sets, num, den)
     same = real.join(reps, ["d1", "d2", "n"]).where("doc_id <> rep").select(F.col("doc_id").alias("a"), F.col("rep").alias("b"))
-    repeated = components(found)
     # a class whose rows carry one doc_id twice is tied by that id, so copies enter as links only where they meet several classes
     many = real.groupBy("doc_id").agg(F.count_distinct("d1", "d2").alias("k")).where("k > 1").select("doc_id")
     tied = every.join(many, "doc_id", "left_semi")
@@ -183,11 +171,13 @@ def keep_one(docs: DataFrame, width: int = 4, num: int = 85, den: int = 100) ->
     Of rows that repeat this doc_id the longest text stays, then by its hash, then any of equal rows.
     """
     found = linked_classes(docs, width, num, den)
-    gone = found.where("component_id <> doc_id").select(F.col("doc_id").alias("_gone")).distinct()
-    many = docs.where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias("_many")).count().where("count > 1").select("_many")
-    left = docs.join(gone, F.col("doc_id") == F.col("_gone"), "left_anti")
+    free = own_names(docs, 3)
+    gone = found.where("component_id <> doc_id").select(F.col("doc_id").alias(free[0])).distinct()
+    many = docs.where("doc_id is not null").groupBy(F.col("doc_id").cast("long").alias(free[1])).agg(F.count("*").alias(free[2])).where(F.col(free[2]) > 1).select(free[1])
+    left = docs.join(gone, F.col("doc_id").cast("long") == F.col(free[0]), "left_anti")
     if not many.limit(1).count():
         return left
     w = Window.partitionBy("doc_id").orderBy(F.length("text").desc_nulls_last(), F.xxhash64("text"))
-    several = left.join(many, F.col("doc_id") == F.col("_many"), "left_semi").withColumn("_row", F.row_number().over(w)).where("_row = 1").drop("_row")
-    return left.join(many, F.col("doc_id") == F.col("_many"), "left_anti").unionByName(several)
+    twice = F.col("doc_id").cast("long") == F.col(free[1])
+    several = left.join(many, twice, "left_semi").withColumn(free[2], F.row_number().over(w)).where(F.col(free[2]) == 1).drop(free[2])
+    return left.join(many, twice, "left_anti").unionByName(several)

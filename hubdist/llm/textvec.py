@@ -2,8 +2,10 @@
 
 A string span is hashed by a prefix sum of mixed characters times powers of an
 odd number modulo 2**64, so that the hash of any span costs one subtraction and
-one product. All hashes are pure functions of the text: they agree between
-tasks, retries and machines.
+one product. Long spans can be made that collide under it, so it serves spans of a
+few characters or of a few hashed words; whole words are told apart by their bytes
+or by a hash that mixes in turn. All hashes are pure functions of the text: they agree
+between tasks, retries and machines.
 """
 
 from __future__ import annotations
@@ -110,6 +112,45 @@ def text_batches(batches: Iterator[pa.RecordBatch], limit: int = 1 << 20) -> Ite
             yield piece.column(0).to_pylist(), texts(piece.column(1)), piece
 
 
+def words_of(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> pa.Array:
+    """Spans [start, end) of a byte array, which do not overlap and come in order, as a binary array."""
+    n = (end - start).astype(np.int64)
+    off = np.concatenate([[0], np.cumsum(n)])
+    edge = np.zeros(len(data) + 1, np.int8)
+    edge[start] += 1
+    np.subtract.at(edge, end, 1)  # an end may be the next start
+    held = data[np.cumsum(edge[:-1], dtype=np.int8) > 0] if len(data) else data
+    return pa.Array.from_buffers(pa.large_binary(), len(n), [None, pa.py_buffer(off), pa.py_buffer(np.ascontiguousarray(held))])
+
+
+def same_words(words: pa.Array) -> tuple[np.ndarray, pa.Array]:
+    """For each span a code that equal bytes share, and the span of each code: compared byte by byte, not by a hash."""
+    held = words.dictionary_encode()
+    return held.indices.to_numpy(zero_copy_only=False).astype(np.int64), held.dictionary
+
+
+_ENDS = np.array([(1 << 8 * k) - 1 for k in range(9)], U)
+
+
+def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndarray:
+    """Hash of each span [start, end) of a byte array: eight bytes at a time go through two mixing states of 64 bits, so no sum of powers is left to collide."""
+    padded = np.concatenate([data, np.zeros(8, np.uint8)])
+    eight = np.ndarray((len(data) + 1,), "<u8", padded, strides=(1,))
+    size = (end - start).astype(np.int64)
+    h, g = size.astype(U) + U(0x9E3779B97F4A7C15), np.full(len(size), U(0xD6E8FEB86659FD93))
+    live, at = np.arange(len(size)), 0
+    while len(live):
+        left = size[live] - at
+        lane = eight[start[live] + at] & _ENDS[np.minimum(left, 8)]
+        x = fmix(h[live] ^ lane)
+        y = (g[live] + lane) * U(0xA0761D6478BD642F)
+        y = (y ^ (y >> U(29))) + ((x << U(23)) | (x >> U(41)))
+        h[live], g[live] = x, y
+        at += 8
+        live = live[left > 8]
+    return fmix(h ^ fmix(g))
+
+
 def spans_of(starts: np.ndarray, n: int, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Row of each span start, and how many spans each row has."""
     row = np.searchsorted(off, starts, "right") - 1

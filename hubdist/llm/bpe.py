@@ -19,7 +19,6 @@ import unicodedata
 from collections.abc import Iterator
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
@@ -182,7 +181,7 @@ class PrefixEncoder:
 
 
 _ENCODERS: dict[str, PrefixEncoder] = {}
-_MEMO: dict[str, dict[str, tuple[int, str, str]]] = {}
+_MEMO: dict[str, dict[bytes, tuple[int, str, str]]] = {}
 
 
 def encoder(path: str) -> PrefixEncoder:
@@ -215,14 +214,12 @@ def encode_rows(rows: list[str], path: str) -> Iterator[tuple[list[int], list[st
     live = classes()[cp[starts]] != SPACE
     starts, ends = starts[live], ends[live]
     row, _ = tv.spans_of(starts, len(flat), off)
-    code, uniq = pd.factorize(tv.span_hash(tv.prefix(cp), starts, ends))
-    where = np.empty(len(uniq), np.int64)
-    where[code[::-1]] = np.arange(len(code))[::-1]
-    joined = "".join(flat)
+    place = tv.utf8_places(cp)
+    data = np.frombuffer("".join(flat).encode("utf-8", "surrogatepass"), np.uint8)
+    code, uniq = tv.same_words(tv.words_of(data, place[starts], place[ends]))
     count, ids, toks = np.empty(len(uniq), np.int64), np.empty(len(uniq), object), np.empty(len(uniq), object)
     missing = []
-    for k, (a, b) in enumerate(zip(starts[where].tolist(), ends[where].tolist(), strict=True)):
-        word = joined[a:b]
+    for k, word in enumerate(uniq.to_pylist()):
         got = memo.get(word)
         if got is None:
             missing.append((word, k))
@@ -231,7 +228,7 @@ def encode_rows(rows: list[str], path: str) -> Iterator[tuple[list[int], list[st
     missing.sort()
     if len(memo) + len(missing) > MEMO:
         memo.clear()
-    for (word, k), t in zip(missing, enc.encode_sorted([w.encode("utf-8", "surrogatepass") for w, _ in missing]), strict=True):
+    for (word, k), t in zip(missing, enc.encode_sorted([w for w, _ in missing]), strict=True):
         got = count[k], ids[k], toks[k] = len(t), " ".join(map(str, t)), " ".join([enc.text[x] for x in t])
         if len(word) <= 64:
             memo[word] = got

@@ -14,7 +14,6 @@ import zlib
 from itertools import chain
 
 import numpy as np
-import pandas as pd
 import pyarrow as pa
 from pyspark.sql import DataFrame, Window
 from pyspark.sql import functions as F
@@ -54,25 +53,23 @@ def tokenizer(path: str):
 
 
 class Known:
-    """Ids of known pieces in flat arrays, looked up by piece hash for a whole batch at once; emptied when full."""
+    """Ids of known pieces in flat arrays, found by the pieces' bytes; emptied when full."""
 
     def __init__(self) -> None:
-        self.keys, self.at, self.n, self.pool = np.zeros(0, np.uint64), np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
-
-    def find(self, keys: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-        """Place of each key, and whether it is known."""
-        if not len(self.keys):
-            return np.zeros(len(keys), np.int64), np.zeros(len(keys), bool)
-        k = np.minimum(np.searchsorted(self.keys, keys), len(self.keys) - 1)
-        return k, self.keys[k] == keys
-
-    def add(self, keys: np.ndarray, ids: list[list[int]]) -> None:
+        self.place: dict[bytes, int] = {}
+        self.at, self.n, self.pool = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32)
+
+    def find(self, words: list[bytes], encode) -> np.ndarray:
+        """Place of each of the distinct ``words``; new ones are encoded."""
+        if len(self.place) > MEMO or len(self.pool) > 8 * MEMO:
+            self.__init__()
+        lost = [w for w in words if w not in self.place]
+        ids = [encode(w) for w in lost]
         n = np.fromiter(map(len, ids), np.int64, len(ids))
-        pool = np.fromiter(chain.from_iterable(ids), np.uint32, int(n.sum()))
-        at = len(self.pool) + np.cumsum(n) - n
-        keys, at, n = np.concatenate([self.keys, keys]), np.concatenate([self.at, at]), np.concatenate([self.n, n])
-        order = np.argsort(keys, kind="stable")
-        self.keys, self.at, self.n, self.pool = keys[order], at[order], n[order], np.concatenate([self.pool, pool])
+        self.at, self.n = np.concatenate([self.at, len(self.pool) + np.cumsum(n) - n]), np.concatenate([self.n, n])
+        self.pool = np.concatenate([self.pool, np.fromiter(chain.from_iterable(ids), np.uint32, int(n.sum()))])
+        self.place.update(zip(lost, range(len(self.place), len(self.place) + len(lost)), strict=True))
+        return np.fromiter((self.place[w] for w in words), np.int64, len(words))
 
 
 def token_arrays(rows: list[str], path: str) -> list[np.ndarray]:
@@ -88,19 +85,11 @@ def token_arrays(rows: list[str], path: str) -> list[np.ndarray]:
     cp, off = tv.code_points(flat)
     starts = np.flatnonzero(piece_starts(cp, off, keep_space=True))
     ends = np.append(starts[1:], len(cp))
-    code, uniq = pd.factorize(tv.span_hash(tv.prefix(cp), starts, ends))
-    where = np.empty(len(uniq), np.int64)
-    where[code[::-1]] = np.arange(len(code))[::-1]
-    joined = "".join(flat)
-    if len(known.keys) > MEMO:
-        known.__init__()
-    _, found = known.find(uniq)
-    if not found.all():
-        lost = np.flatnonzero(~found)
-        a, b = starts[where[lost]].tolist(), ends[where[lost]].tolist()
-        known.add(uniq[lost], [one(joined[i:j].encode("utf-8", "surrogatepass")) for i, j in zip(a, b, strict=True)])
-    place, _ = known.find(uniq)
-    at, count, pool = (known.at[place], known.n[place], known.pool) if len(uniq) else (np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, np.uint32))
+    place = tv.utf8_places(cp)
+    data = np.frombuffer("".join(flat).encode("utf-8", "surrogatepass"), np.uint8)
+    code, uniq = tv.same_words(tv.words_of(data, place[starts], place[ends]))
+    held = known.find(uniq.to_pylist(), one)
+    at, count, pool = known.at[held], known.n[held], known.pool
     n = count[code]
     before = np.concatenate([[0], np.cumsum(n)])
     ids = pool[np.repeat(at[code] - before[:-1], n) + np.arange(before[-1])] if len(code) else np.zeros(0, np.uint32)

@@ -151,6 +151,15 @@ def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
     return fmix(h ^ fmix(g))
 
 
+def utf8_places(cp: np.ndarray) -> np.ndarray:
+    """Place of each code point, and of the end, in the UTF-8 form of the same text."""
+    size = (cp >= 0x80).astype(np.int64)
+    size += cp >= 0x800
+    size += cp >= 0x10000
+    size += 1
+    return np.concatenate([[0], np.cumsum(size)])
+
+
 def spans_of(starts: np.ndarray, n: int, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
     """Row of each span start, and how many spans each row has."""
     row = np.searchsorted(off, starts, "right") - 1

@@ -181,6 +181,29 @@ def test_bpe_equals_library(spark):
     assert back[2] == lib.decode(lib.encode(texts[2], add_special_tokens=False).ids, skip_special_tokens=False)
 
 
+def colliding_words():
+    """Two words of 1,024 letters whose sums of powers agree modulo 2**64 for any odd base: letters by the parity of ones, and swapped."""
+    even = "".join("ab"[bin(k).count("1") % 2] for k in range(1024))
+    return even, even.translate(str.maketrans("ab", "ba"))
+
+
+def test_long_words_are_told_apart(spark):
+    from tokenizers import Tokenizer
+
+    a, b = colliding_words()
+    d = spark.createDataFrame([(0, a), (1, b), (2, f"{a} {b}"), (3, f"x {a} y z u"), (4, f"x {b} y z u")], "doc_id long, text string").coalesce(1)
+    words, bytes_ = vocabulary("word_bpe_49k.json"), vocabulary("byte_bpe_50k.json")
+    lib = Tokenizer.from_file(words)
+    for r in bpe.digests(d, words).join(d, "doc_id").collect():
+        assert r.ids_sha256 == hashlib.sha256(" ".join(map(str, lib.encode(r.text, add_special_tokens=False).ids)).encode()).hexdigest()
+    lib = Tokenizer.from_file(bytes_)
+    got = {(r.doc_id, r.piece): r for r in packing.pieces(d, bytes_).collect()}
+    for r in d.collect():
+        ids = [*lib.encode(r.text, add_special_tokens=False).ids, 2]
+        assert got[r.doc_id, 0].ids_crc32 == zlib.crc32(np.array(ids, "<u4").tobytes()) and got[r.doc_id, 0].length == len(ids)
+    assert [r.component_id for r in shinglejoin.linked_classes(d).orderBy("doc_id").collect()] == [0, 1, 2, 3, 4]
+
+
 def test_packing(spark):
     from tokenizers import Tokenizer
 

@@ -22,7 +22,7 @@ def base(spark: SparkSession) -> str:
         return found.rstrip("/")
     if spark.sparkContext.master.startswith("local[") or spark.sparkContext.master == "local":
         return "/tmp/checkpoints/hubdist"
-    return spark.conf.get("spark.sql.warehouse.dir").rstrip("/") + "/_hubdist_scratch"
+    raise ValueError("set spark.checkpoint.dir to a folder that driver and executors share")
 
 
 def new_path(spark: SparkSession, name: str) -> str:
@@ -48,6 +48,12 @@ def drop(df: DataFrame | None) -> None:
         _delete(df.sparkSession, path)
 
 
+def exists(spark: SparkSession, path: str) -> bool:
+    """Whether a table or folder stands at ``path``, in whatever store Spark reads."""
+    p = spark._jvm.org.apache.hadoop.fs.Path(path)
+    return p.getFileSystem(spark._jsc.hadoopConfiguration()).exists(p)
+
+
 def _delete(spark: SparkSession, path: str) -> None:
     jvm = spark._jvm
     p = jvm.org.apache.hadoop.fs.Path(path)

@@ -1,18 +1,25 @@
 """Secret scans over an incremental ledger of blobs, in DataFrame functions only.
 
 Every version of every path is a blob, named by the digest of its text. The
-ledger says which blob was scanned under which version of which rule and what
-was found; a run scans only pairs the ledger lacks and joins the findings back
-to all paths that hold the blob. Copies are scanned once.
+ledger is a table of (blob, rules, found): which blob was scanned under which
+versions of which rules, and what was found. A run scans only the pairs the ledger
+lacks, appends them, and joins the findings back to all paths that hold the blob.
+Copies are scanned once. A text in which no pattern occurs at all is told apart
+where it is read, so that only digests and texts with a match travel.
 """
 
 from __future__ import annotations
 
 from dataclasses import dataclass
+from functools import reduce
+from operator import or_
 
-from pyspark.sql import Column, DataFrame, Window
+from pyspark.sql import Column, DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 
+from ..plans.scratch import cut, exists, new_path
+from .columns import own_names
+
 
 @dataclass(frozen=True)
 class Rule:
@@ -41,76 +48,95 @@ MORE = (
     Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 1),
 )
 RULES = BASE + MORE
-FOUND = "array<struct<kind:string,no:int,start:bigint,end:bigint>>"
+FOUND = "array<struct<rule:string,start:bigint,end:bigint>>"
+LEDGER = f"blob binary, rules array<string>, found {FOUND}"
 
 
 def blob_id(text: Column) -> Column:
-    return F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256)
+    return F.unhex(F.sha2(F.coalesce(text, F.lit("")).cast("binary"), 256))
+
+
+def occurs(text: Column, rules: tuple[Rule, ...]) -> Column:
+    """Whether any pattern matches somewhere; null text: no."""
+    return F.coalesce(reduce(or_, [text.rlike(r.pattern) for r in rules]), F.lit(False))
 
 
-def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None) -> DataFrame:
-    """Findings (blob, kind, no, start, end) of the (blob, rule version) pairs that ``ledger`` lacks; blobs: (blob, text), one row each.
+def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """Findings (blob, rule, start, end) of ``blobs`` (blob, text, todo), one row each; todo: the rules to scan for.
 
     Starts and ends are code points, ends exclusive; matches of a kind are leftmost
     and do not overlap. The text between matches and the matches themselves give
     the places by running sums.
     """
-    text = F.coalesce("text", F.lit(""))
-    if ledger is None:
-        blobs = blobs.select("blob", text.alias("text"), F.array().cast("array<string>").alias("seen"))
-    else:
-        seen = ledger.groupBy("blob").agg(F.collect_set("rule").alias("seen"))
-        blobs = blobs.join(seen, "blob", "left").select("blob", text.alias("text"), F.coalesce("seen", F.array().cast("array<string>")).alias("seen"))
     kinds = []
-    for no, r in enumerate(rules):
+    for r in rules:
         p = F.lit(r.pattern)
         parts = F.arrays_zip(
             F.transform(F.split("text", r.pattern, -1), lambda x: F.length(x)).alias("gap"),
             F.transform(F.regexp_extract_all("text", p, F.lit(0)), lambda x: F.length(x)).alias("len"),
             F.transform(F.regexp_extract_all("text", p, F.lit(r.group)), lambda x: F.length(x)).alias("own"),
         )
-        kinds.append(F.when(~F.array_contains("seen", r.key) & F.col("text").rlike(r.pattern), F.struct(F.lit(r.kind).alias("kind"), F.lit(no).alias("no"), F.lit(r.least).alias("least"), parts.alias("parts"))))
+        kinds.append(F.when(F.array_contains("todo", r.key) & F.col("text").rlike(r.pattern), F.struct(F.lit(r.key).alias("rule"), F.lit(r.least).alias("least"), parts.alias("parts"))))
     hit = blobs.select("blob", F.explode(F.filter(F.array(*kinds), lambda x: x.isNotNull())).alias("k"))
-    at = hit.select("blob", "k.kind", "k.no", "k.least", F.posexplode("k.parts").alias("i", "p"))
-    w = Window.partitionBy("blob", "no").orderBy("i")
+    at = hit.select("blob", "k.rule", "k.least", F.posexplode("k.parts").alias("i", "p"))
+    w = Window.partitionBy("blob", "rule").orderBy("i")
     end = F.sum(F.col("p.gap").cast("long") + F.coalesce(F.col("p.len"), F.lit(0))).over(w.rowsBetween(Window.unboundedPreceding, 0))
     at = at.withColumn("end", end).where("p.len is not null and p.own >= least")
-    return at.select("blob", "kind", "no", (F.col("end") - F.col("p.len")).alias("start"), "end")
+    return at.select("blob", "rule", (F.col("end") - F.col("p.len")).alias("start"), "end")
+
 
+def open_ledger(spark: SparkSession, path: str) -> DataFrame:
+    """The ledger at ``path``; none there yet: an empty one."""
+    return spark.read.schema(LEDGER).parquet(path) if exists(spark, path) else spark.createDataFrame([], LEDGER)
 
-def update_ledger(versions: DataFrame, ledger: DataFrame | None = None, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
-    """New ledger rows (blob, rule, found) for all blobs of ``versions``: append them to the ledger's table. Pairs it has are not scanned again."""
-    blobs = versions.select(blob_id(F.col(text_col)).alias("blob"), F.coalesce(F.col(text_col), F.lit("")).alias("text")).dropDuplicates(["blob"])
-    found = scan(blobs, rules, ledger).groupBy("blob", F.col("kind").alias("_k")).agg(F.sort_array(F.collect_list(F.struct("kind", "no", "start", "end"))).alias("found"))
-    pairs = versions.select(blob_id(F.col(text_col)).alias("blob")).distinct().withColumn("_r", F.explode(F.array(*[F.struct(F.lit(r.kind).alias("kind"), F.lit(r.key).alias("rule")) for r in rules])))
-    pairs = pairs.select("blob", F.col("_r.kind").alias("_k"), F.col("_r.rule").alias("rule"))
-    if ledger is not None:
-        pairs = pairs.join(ledger.select("blob", "rule"), ["blob", "rule"], "left_anti")
-    return pairs.join(found, ["blob", "_k"], "left").select("blob", "rule", F.coalesce("found", F.array().cast(FOUND)).alias("found"))
 
+def update_ledger(versions: DataFrame, path: str, rules: tuple[Rule, ...] = RULES, text_col: str = "text") -> DataFrame:
+    """Scan the (blob, rule version) pairs of ``versions`` that the ledger at ``path`` lacks, append them, and return the ledger.
+
+    Null text is the empty blob. Nothing new: nothing is written.
+    """
+    spark = versions.sparkSession
+    ledger = open_ledger(spark, path)
+    rows = versions.select(blob_id(F.col(text_col)).alias("blob"), F.col(text_col).alias("text"))
+    keys = F.array(*[F.lit(r.key) for r in rules])
+    blobs = rows.select("blob").distinct()
+    if exists(spark, path):
+        seen = ledger.groupBy("blob").agg(F.array_distinct(F.flatten(F.collect_list("rules"))).alias("seen"))
+        blobs = blobs.join(seen, "blob", "left").select("blob", F.array_except(keys, F.coalesce("seen", F.array().cast("array<string>"))).alias("todo")).where(F.size("todo") > 0)
+    else:
+        blobs = blobs.withColumn("todo", keys)
+    texts = rows.where(occurs(F.col("text"), rules)).groupBy("blob").agg(F.first("text").alias("text"))
+    found = scan(texts.join(blobs, "blob"), rules).groupBy("blob").agg(F.collect_list(F.struct("rule", "start", "end")).alias("found"))
+    new = blobs.join(found, "blob", "left").select("blob", F.col("todo").alias("rules"), F.coalesce("found", F.array().cast(FOUND)).alias("found"))
+    new.write.mode("append").parquet(path)
+    return open_ledger(spark, path)
 
-def spans_per_blob(docs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None) -> DataFrame:
-    """(blob, spans) of blobs with findings; spans by start, then by kind as listed. A ledger's findings for these rules count too."""
-    blobs = docs.select(blob_id(F.col("text")).alias("blob"), F.coalesce("text", F.lit("")).alias("text")).dropDuplicates(["blob"])
-    found = scan(blobs, rules, ledger)
-    if ledger is not None:
-        old = ledger.where(F.col("rule").isin([r.key for r in rules])).select("blob", F.explode("found").alias("f"))
-        found = found.unionByName(old.select("blob", "f.kind", "f.no", "f.start", "f.end"))
-    return found.groupBy("blob").agg(F.sort_array(F.collect_list(F.struct("start", "no", "kind", "end"))).alias("spans"))
 
+def findings(ledger: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
+    """(blob, spans) of blobs with findings under these rules; spans by start, then by kind as listed."""
+    named = F.create_map(*[x for no, r in enumerate(rules) for x in (F.lit(r.key), F.struct(F.lit(no).alias("no"), F.lit(r.kind).alias("kind")))])
+    one = ledger.where(F.size("found") > 0).select("blob", F.explode("found").alias("f")).withColumn("r", named[F.col("f.rule")]).where("r is not null")
+    return one.groupBy("blob").agg(F.sort_array(F.collect_set(F.struct("f.start", "r.no", "r.kind", "f.end"))).alias("spans"))
 
-def secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None) -> DataFrame:
-    """(doc_id, blob, spans) of every row; no finding: an empty list. Null text is empty; null ids and repeated rows stay as they are."""
-    found = spans_per_blob(docs, rules, ledger)
+
+def secrets(docs: DataFrame, rules: tuple[Rule, ...] = RULES, ledger: str | None = None) -> DataFrame:
+    """(doc_id, blob, spans) of every row; no finding: an empty list. Null text is empty; null ids and repeated rows stay as they are.
+
+    ``ledger``: the folder of a ledger kept between runs; none: one is begun for this run.
+    """
+    found = cut(findings(update_ledger(docs, ledger or new_path(docs.sparkSession, "ledger"), rules), rules), "findings")
     at = docs.select(F.col("doc_id").cast("long").alias("doc_id"), blob_id(F.col("text")).alias("blob"))
     none = F.array().cast("array<struct<start:bigint,no:int,kind:string,end:bigint>>")
-    return at.join(found, "blob", "left").select("doc_id", "blob", F.coalesce("spans", none).alias("spans"))
+    return at.join(found, "blob", "left").select("doc_id", F.lower(F.hex("blob")).alias("blob"), F.coalesce("spans", none).alias("spans"))
 
 
-def redact(docs: DataFrame, mark: str = "[secret]", rules: tuple[Rule, ...] = RULES, ledger: DataFrame | None = None) -> DataFrame:
-    """Documents with each run of overlapping findings replaced by ``mark``; texts without findings stay, and so do all columns."""
-    found = spans_per_blob(docs, rules, ledger).withColumnRenamed("blob", "_blob").withColumnRenamed("spans", "_spans")
-    out = docs.join(found, blob_id(F.col("text")) == F.col("_blob"), "left")
+def redact(docs: DataFrame, mark: str = "[secret]", rules: tuple[Rule, ...] = RULES, ledger: str | None = None) -> DataFrame:
+    """Documents with each run of overlapping findings replaced by ``mark``; texts without findings stay, and so do all columns. Only rows in which a pattern occurs meet the findings."""
+    blob, spans = own_names(docs, 2)
+    found = cut(findings(update_ledger(docs, ledger or new_path(docs.sparkSession, "ledger"), rules), rules), "findings")
+    found = found.select(F.col("blob").alias(blob), F.col("spans").alias(spans))
+    some = occurs(F.col("text"), rules)
+    out = docs.where(some).join(found, blob_id(F.col("text")) == F.col(blob), "left")
     start = F.struct(F.lit(0).cast("long").alias("pos"), F.lit("").alias("out"))
 
     def step(acc: Column, s: Column) -> Column:
@@ -121,11 +147,11 @@ def redact(docs: DataFrame, mark: str = "[secret]", rules: tuple[Rule, ...] = RU
             )
         )
 
-    clean = F.aggregate("_spans", start, step, lambda acc: F.concat(acc.out, F.expr("text").substr(acc.pos.cast("int") + 1, F.lit(2**31 - 1))))
-    out = out.withColumn("text", F.when(F.col("_spans").isNull(), F.col("text")).otherwise(clean))
+    clean = F.aggregate(spans, start, step, lambda acc: F.concat(acc.out, F.expr("text").substr(acc.pos.cast("int") + 1, F.lit(2**31 - 1))))
+    changed = {"text": F.when(F.col(spans).isNull(), F.col("text")).otherwise(clean)}
     if "n_chars" in docs.columns:
-        out = out.withColumn("n_chars", F.when(F.col("_spans").isNull(), F.col("n_chars")).otherwise(F.length("text").cast(docs.schema["n_chars"].dataType)))
-    return out.select(*docs.columns)
+        changed["n_chars"] = F.when(F.col(spans).isNull(), F.col("n_chars")).otherwise(F.length(changed["text"]).cast(docs.schema["n_chars"].dataType))
+    return docs.where(~some).unionByName(out.withColumns(changed).select(*docs.columns))
 
 
 def digest(found: DataFrame) -> DataFrame:

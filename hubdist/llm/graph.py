@@ -16,11 +16,10 @@ from ..plans.scratch import cut, drop
 
 
 def star_edges(df: DataFrame, key: str, item: str) -> DataFrame:
-    """(a, b, n): b is the smallest item under n of the keys of item a; a bucket of any size spills, and sorting by the key alone is a radix sort."""
+    """(a, b), once: b is the smallest item under a key of item a; a bucket of any size spills, and sorting by the key alone is a radix sort."""
     from pyspark.sql import Window
 
-    star = df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b")
-    return star.groupBy("a", "b").agg(F.count("*").alias("n"))
+    return df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b").distinct()
 
 
 def components(edges: DataFrame) -> DataFrame:
@@ -33,11 +32,10 @@ def components(edges: DataFrame) -> DataFrame:
         both = now.unionByName(now.select(F.col("b").alias("a"), F.col("a").alias("b")))
         low = cut(both.groupBy("a").agg(F.min("b").alias("m")).select("a", F.least("a", "m").alias("m")), "low")
         large = both.where("b > a").join(low, "a").select(F.col("b").alias("a"), F.col("m").alias("b")).where("a <> b").distinct()
-        large = cut(large, "large")
         least = large.groupBy("a").agg(F.min("b").alias("m"))
         small = large.join(least, "a").select(F.when(F.col("b") != F.col("m"), F.col("b")).otherwise(F.col("a")).alias("a"), F.col("m").alias("b"))
         nxt = cut(small.where("a <> b").distinct(), "links")
-        for x in (low, large, now):
+        for x in (low, now):
             drop(x)
         now = nxt
     roots = now.select(F.col("b").alias("node"), F.col("b").alias("comp")).distinct()

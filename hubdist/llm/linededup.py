@@ -101,11 +101,11 @@ def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> D
 
     def run(batches):
         once = (b.take(pa.array(np.unique(b.column(0).to_numpy(), return_index=True)[1])) for b in batches)
-        for _, rows, piece in tv.text_batches(once, 1 << 17):  # arrays of a piece stay in a core's cache
-            cp, off = tv.code_points(rows)
+        for piece in tv.piece_batches(once, 1 << 17):  # arrays of a piece stay in a core's cache
+            cp, off = tv.column_points(piece.column(1))
             x, owner = line_shingles(cp, off[:-1], off[1:], width)
-            sig = signatures(x, owner, len(rows), slots)
-            key = np.zeros((len(rows), bands), np.uint64)
+            sig = signatures(x, owner, piece.num_rows, slots)
+            key = np.zeros((piece.num_rows, bands), np.uint64)
             for r in range(rows_per_band):
                 key = tv.fmix(key + sig[:, r::rows_per_band] + np.uint64(0x9E3779B97F4A7C15))
             key = tv.fmix(key + np.arange(bands, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
@@ -149,7 +149,7 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     items = chosen.select(F.col("h1").alias("node"), F.struct("rep.doc_id", "rep.line_no", "h1", "h2").alias("item"), "weight")
 
     def sets(table):
-        cp, off = tv.code_points(tv.texts(table["text"]))
+        cp, off = tv.column_points(table["text"])
         x, owner = line_shingles(cp, off[:-1], off[1:], width)
         x, at = distinct(x, owner, len(off) - 1)
         return x.view(np.int64), at, np.arange(len(off) - 1)

@@ -1,15 +1,15 @@
 """Exact set-overlap search: occurrence counting with long lists set aside, over tasks of bounded size.
 
-Whoever calls names, for each key that items share, the smallest item under it;
-any two items that may link must hang together through shared keys. The search
-has two passes:
+Whoever calls names, for each key that items share, the smallest item under it,
+its hub; any two items that may link have a hub in common or are hub and item. The
+search has two passes:
 
-1. Every item meets one centre, the smallest item under most of its keys. A
-   group of n near copies is joined here by n comparisons.
-2. Items that still lie in different components of one block meet each other;
-   blocks already joined are done. In a block too large for a task, all others
-   meet the largest component chunk by chunk, so its members travel once for
-   each chunk of the others, never for each chunk of their own.
+1. Every item meets its hubs, all overlaps of a task counted at once. A group of n
+   near copies has few hubs and is joined here by a few comparisons an item.
+2. Other items of one hub that still lie in different components meet each other;
+   hubs whose items are joined are done. At a hub too large for a task, all others
+   meet the largest component chunk by chunk, so its members travel once for each
+   chunk of the others, never for each chunk of their own.
 
 Inside a task, an item of n tokens needs T of them in a partner. Its longest
 inverted lists are left out, up to T - 1 of them; the short ones are merged, and
@@ -91,8 +91,9 @@ def merged(posts: np.ndarray, start: np.ndarray, lens: np.ndarray) -> tuple[np.n
 def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.ndarray, num: int, den: int) -> Iterator[tuple[int, int]]:
     """Spanning links (i, j) among items with den * overlap >= num * union in the same block.
 
-    ``side``: 0 or 1; if both occur only pairs across sides are compared. ``tokens``
-    holds the distinct tokens of all items one after another.
+    ``side``: 0 or 1; if both occur only pairs across sides are compared. Otherwise
+    items of side 3 belong together already and are only found, not searched from.
+    ``tokens`` holds the distinct tokens of all items one after another.
     """
     n = len(sizes)
     owner = np.repeat(np.arange(n), sizes)
@@ -108,9 +109,9 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
     probe = code[order] * n + posts  # all lists end to end, sorted: one binary search serves any list
     at = np.searchsorted(owner, np.arange(n + 1))
     enough = np.diff(at) >= -(-num * sizes // den)  # a partner of any size shares so many at least
-    mixed = bool(side.min() != side.max()) if n else False
+    mixed = bool((side == 0).any() and (side == 1).any())
     joined = Sets(n)
-    for x in np.flatnonzero(enough & (sizes > 0) & ~(mixed & (side == 1))).tolist():
+    for x in np.flatnonzero(enough & (sizes > 0) & (side != 3) & ~(mixed & (side == 1))).tolist():
         size = int(sizes[x])
         need = -(-num * size // den)
         own = code[at[x] : at[x + 1]]
@@ -128,7 +129,7 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
         found, counts = merged(posts, start[own], lens)
         enough_here = counts >= max(1, need - len(long))
         if not mixed:
-            enough_here &= found > x
+            enough_here &= (found > x) | (side[found] == 3)
         found, counts = found[enough_here], counts[enough_here]
         if not len(found):
             continue
@@ -150,6 +151,23 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
                 yield x, y
 
 
+def centre_links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.ndarray, num: int, den: int) -> Iterator[tuple[int, int]]:
+    """Links (i, j) from the one item of side 0 in each block to those of side 1, all overlaps counted at once."""
+    n = len(sizes)
+    owner = np.repeat(np.arange(n), sizes)
+    name, names = pd.factorize(block)
+    code, uniq = pd.factorize(tokens)
+    code, uniq = pd.factorize(name[owner] * len(uniq) + code)
+    centre = np.zeros(len(names), np.int64)
+    centre[name[side == 0]] = np.flatnonzero(side == 0)
+    held = np.zeros(len(uniq), bool)
+    held[code[side[owner] == 0]] = True
+    shared = np.bincount(owner, weights=held[code], minlength=n).astype(np.int64)
+    own = centre[name]
+    good = (side == 1) & (sizes > 0) & (den * shared >= num * (sizes + sizes[own] - shared))
+    yield from zip(own[good].tolist(), np.flatnonzero(good).tolist(), strict=True)
+
+
 def _tasks(groups: DataFrame, key: str, budget: int) -> tuple[DataFrame, int]:
     """Groups (key, total) with the number of chunks ``c`` each needs, and how many tasks the small ones share."""
     small = groups.where(F.col("total") <= budget).agg(F.sum("total")).first()[0] or 0
@@ -160,32 +178,31 @@ def _shared(key: str, n: int):
     return F.concat_ws("/", F.lit("s"), F.pmod(F.xxhash64(key), F.lit(n)).cast("string"))
 
 
-def centre_places(placed: DataFrame, budget: int) -> DataFrame:
-    """(task, block, side, item): every item of ``placed`` (node, item, weight, p) with its centre p, which is a node too; side 0 is the centre."""
-    own = placed.where("node <> p")
+def centre_places(own: DataFrame, hubs: DataFrame, budget: int) -> DataFrame:
+    """(task, block, side, item): every item of ``own`` (p, item, weight) with its hub p; side 0 is the hub, an item of ``hubs`` (p, item)."""
     groups = cut(own.groupBy("p").agg(F.sum("weight").cast("long").alias("total")), "groups")
     groups, n = _tasks(groups, "p", budget)
     task = F.when(F.col("c") > 1, F.concat_ws("/", F.lit("p"), F.col("p").cast("string"), F.col("chunk").cast("string"))).otherwise(_shared("p", n))
     members = own.join(groups, "p").withColumn("chunk", F.pmod(F.xxhash64("item", F.lit(7)), F.col("c")).cast("int")).withColumn("side", F.lit(1))
-    centres = groups.join(placed.select(F.col("node").alias("p"), "item"), "p").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("c") - 1))).withColumn("side", F.lit(0))
+    centres = hubs.join(groups, "p").withColumn("chunk", F.explode(F.sequence(F.lit(0), F.col("c") - 1))).withColumn("side", F.lit(0))
     return members.select("p", "c", "chunk", "side", "item").unionByName(centres.select("p", "c", "chunk", "side", "item")).select(task.alias("task"), F.xxhash64("p", "chunk").alias("block"), "side", "item")
 
 
 def block_places(placed: DataFrame, comps: DataFrame, budget: int) -> DataFrame:
-    """(task, block, side, item) of the blocks in ``placed`` (item, weight, block) that ``comps`` (node, comp) leaves in several components.
+    """(task, block, side, item) of the blocks in ``placed`` (block, item, weight) that ``comps`` (node, comp) leaves in several components.
 
-    A block of two items is done, as its items have met. Small blocks share a task and
-    compare all their items. In a larger one, chunks of its largest component meet
+    Small blocks share a task and
+    compare all their items but those of its largest component. In a larger one, chunks of its largest component meet
     chunks of the rest, and chunks of the rest meet each other.
     """
     cls = placed.join(comps.withColumnRenamed("node", "item"), "item", "left").select("block", "item", "weight", F.coalesce("comp", "item").alias("cls"))
     cls = cut(cls, "classes")
-    per = cls.groupBy("block", "cls").agg(F.sum("weight").cast("long").alias("w"), F.count("*").alias("n"))
-    blocks = per.groupBy("block").agg(F.count("*").alias("k"), F.sum("n").alias("n"), F.sum("w").alias("total"), F.max(F.struct("w", "cls")).alias("big")).where("k > 1 and n > 2")
+    per = cls.groupBy("block", "cls").agg(F.sum("weight").cast("long").alias("w"))
+    blocks = per.groupBy("block").agg(F.count("*").alias("k"), F.sum("w").alias("total"), F.max(F.struct("w", "cls")).alias("big")).where("k > 1")
     blocks = cut(blocks.select("block", "total", F.col("big.cls").alias("big"), F.col("big.w").alias("bw")), "blocks")
     blocks, n = _tasks(blocks, "block", budget)
     at = cls.join(blocks, "block")
-    small = at.where("c = 1").select(_shared("block", n).alias("task"), "block", F.lit(2).alias("side"), "item")
+    small = at.where("c = 1").select(_shared("block", n).alias("task"), "block", F.when(F.col("cls") == F.col("big"), 3).otherwise(2).alias("side"), "item")
     large = at.where("c > 1").withColumn("cl", F.greatest(F.ceil(F.col("bw") / F.lit(budget)), F.lit(1)).cast("int")).withColumn("co", F.greatest(F.ceil((F.col("total") - F.col("bw")) / F.lit(budget)), F.lit(1)).cast("int"))
     h = F.xxhash64("item", F.lit(7))
     chunk = F.when(F.col("cls") == F.col("big"), F.pmod(h, F.col("cl"))).otherwise(F.pmod(h, F.col("co"))).cast("int")
@@ -219,7 +236,8 @@ def verified(dealt: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.n
         table = table.take(keep)
         tokens, off, rows = sets(table)
         block, side = table["block"].to_numpy()[rows], table["side"].to_numpy()[rows]
-        pairs = list(links(block, side, np.diff(off), tokens, num, den))
+        alone = len(rows) and side.max() == 1 and side.min() == 0 and len(np.unique(block)) == len(np.unique(block[side == 0])) == (side == 0).sum()
+        pairs = list((centre_links if alone else links)(block, side, np.diff(off), tokens, num, den))
         items = table["item"].combine_chunks().take(pa.array(rows))
         a, b = (pa.array([p[k] for p in pairs], pa.int64()) for k in (0, 1))
         return pa.table({"a": items.take(a), "b": items.take(b)})
@@ -230,17 +248,16 @@ def verified(dealt: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.n
 def linked_items(near: DataFrame, items: DataFrame, texts: DataFrame, sets: Callable[[pa.Table], tuple[np.ndarray, np.ndarray, np.ndarray]], num: int, den: int, budget: int = 1_000_000) -> DataFrame:
     """(node, comp): components of the exact links among ``items`` (node, item, weight); an item without links has no row.
 
-    ``near`` (a, b, n): node b is the smallest node under n keys of node a. ``texts``
+    ``near`` (a, b): node b is the smallest node under a key of node a, once. ``texts``
     (item, what ``sets`` needs); texts travel, not tokens, as they are several times
     smaller.
     """
-    block = components(near.select("a", "b"))
-    centre = near.groupBy("a").agg(F.min(F.struct((-F.col("n")).alias("n"), "b")).alias("m")).select(F.col("a").alias("node"), F.col("m.b").alias("p"))
-    at = block.select("node", F.col("comp").alias("block")).join(centre, "node", "left").select("node", "block", F.coalesce("p", "node").alias("p"))
-    placed = cut(items.join(at, "node"), "placed")
-    texts = cut(texts.join(placed.select("item").distinct(), "item", "left_semi"), "texts")
-    first = components(verified(centre_places(placed, budget).join(texts, "item"), sets, num, den))
-    rest = verified(block_places(placed, first, budget).join(texts, "item"), sets, num, den)
+    own = cut(near.select(F.col("a").alias("node"), F.col("b").alias("p")).join(items, "node").select("p", "item", "weight"), "own")
+    hubs = near.select(F.col("b").alias("p")).distinct().join(items.withColumnRenamed("node", "p"), "p").select("p", "item")
+    every = own.select("item").unionByName(hubs.select("item")).distinct()
+    texts = cut(texts.join(every, "item", "left_semi"), "texts")
+    first = components(verified(centre_places(own, hubs, budget).join(texts, "item"), sets, num, den))
+    rest = verified(block_places(own.withColumnRenamed("p", "block"), first, budget).join(texts, "item"), sets, num, den)
     rest = cut(rest, "found")
     if rest.isEmpty():
         return first

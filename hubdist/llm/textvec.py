@@ -103,30 +103,27 @@ def code_points(rows: list[str]) -> tuple[np.ndarray, np.ndarray]:
     return np.frombuffer("".join(rows).encode("utf-32-le", "surrogatepass"), np.uint32), off
 
 
-def text_batches(batches: Iterator[pa.RecordBatch], limit: int = 1 << 20) -> Iterator[tuple[list, list[str], pa.RecordBatch]]:
-    """Rows of Arrow batches (id column first, then text) in pieces of bounded text."""
-    for batch in batches:
-        lens = np.asarray(pc.fill_null(pc.binary_length(batch.column(1)), 0).to_numpy(zero_copy_only=False), np.int64)
-        for i, j in slices(lens, limit):
-            piece = batch.slice(i, j - i)
-            yield piece.column(0).to_pylist(), texts(piece.column(1)), piece
+def column_points(col: pa.Array | pa.ChunkedArray) -> tuple[np.ndarray, np.ndarray]:
+    """``code_points`` of a string column, without a Python string for each row."""
+    data, off = utf8(col.combine_chunks() if isinstance(col, pa.ChunkedArray) else col)
+    if not (data & 0x80).any():
+        return data.astype(np.uint32), off
+    at = np.concatenate([[0], np.cumsum((data & 0xC0) != 0x80)])
+    return np.frombuffer(data.tobytes().decode("utf-8", "surrogatepass").encode("utf-32-le", "surrogatepass"), np.uint32), at[off]
 
 
-def words_of(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> pa.Array:
-    """Spans [start, end) of a byte array, which do not overlap and come in order, as a binary array."""
-    n = (end - start).astype(np.int64)
-    off = np.concatenate([[0], np.cumsum(n)])
-    edge = np.zeros(len(data) + 1, np.int8)
-    edge[start] += 1
-    np.subtract.at(edge, end, 1)  # an end may be the next start
-    held = data[np.cumsum(edge[:-1], dtype=np.int8) > 0] if len(data) else data
-    return pa.Array.from_buffers(pa.large_binary(), len(n), [None, pa.py_buffer(off), pa.py_buffer(np.ascontiguousarray(held))])
+def piece_batches(batches: Iterator[pa.RecordBatch], limit: int = 1 << 20, at: int = 1) -> Iterator[pa.RecordBatch]:
+    """Arrow batches cut into runs of rows with bounded text in column ``at``."""
+    for batch in batches:
+        lens = np.asarray(pc.fill_null(pc.binary_length(batch.column(at)), 0).to_numpy(zero_copy_only=False), np.int64)
+        for i, j in slices(lens, limit):
+            yield batch.slice(i, j - i)
 
 
-def same_words(words: pa.Array) -> tuple[np.ndarray, pa.Array]:
-    """For each span a code that equal bytes share, and the span of each code: compared byte by byte, not by a hash."""
-    held = words.dictionary_encode()
-    return held.indices.to_numpy(zero_copy_only=False).astype(np.int64), held.dictionary
+def text_batches(batches: Iterator[pa.RecordBatch], limit: int = 1 << 20) -> Iterator[tuple[list, list[str], pa.RecordBatch]]:
+    """Rows of Arrow batches (id column first, then text) in pieces of bounded text."""
+    for piece in piece_batches(batches, limit):
+        yield piece.column(0).to_pylist(), texts(piece.column(1)), piece
 
 
 _ENDS = np.array([(1 << 8 * k) - 1 for k in range(9)], U)
@@ -153,11 +150,13 @@ def word_hashes(data: np.ndarray, start: np.ndarray, end: np.ndarray) -> np.ndar
 
 def utf8_places(cp: np.ndarray) -> np.ndarray:
     """Place of each code point, and of the end, in the UTF-8 form of the same text."""
-    size = (cp >= 0x80).astype(np.int64)
+    size = (cp >= 0x80).astype(np.int8)
     size += cp >= 0x800
     size += cp >= 0x10000
     size += 1
-    return np.concatenate([[0], np.cumsum(size)])
+    out = np.zeros(len(cp) + 1, np.int64)
+    np.cumsum(size, out=out[1:])
+    return out
 
 
 def spans_of(starts: np.ndarray, n: int, off: np.ndarray) -> tuple[np.ndarray, np.ndarray]:

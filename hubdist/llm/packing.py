@@ -23,32 +23,31 @@ from . import textvec as tv
 from .pretokens import piece_starts
 
 PIECES = "doc_id long, piece int, start long, length long, ids_crc32 long"
-MEMO = 400_000
+MEMO = 100_000
 _TOK: dict = {}
 _KNOWN: dict = {}
 
 
 def tokenizer(path: str):
-    """The library's tokenizer, and a merger of single pieces over the same vocabulary: its ids are merge ranks."""
+    """A merger of single pieces over the vocabulary of a tokenizer file, whose ids are merge ranks, and the special tokens."""
     if path not in _TOK:
         import json
 
         import tiktoken
-        from tokenizers import Tokenizer
 
         from .bpe import byte_symbols
 
-        tok = Tokenizer.from_file(path)
         with open(path, encoding="utf-8") as f:
-            model = json.load(f)["model"]
-        special = {t.content: i for i, t in tok.get_added_tokens_decoder().items()}
+            spec = json.load(f)
+        model = spec["model"]
+        special = {t["content"]: t["id"] for t in spec["added_tokens"]}
         byte = {s: b for b, s in enumerate(byte_symbols())}
         merged = [model["vocab"]["".join(m) if isinstance(m, list) else m.replace(" ", "")] for m in model["merges"]]
         if merged != sorted(merged):
             raise ValueError("ids of this vocabulary do not follow its merges")
         ranks = {bytes(byte[c] for c in t): i for t, i in model["vocab"].items() if t not in special}
         one = tiktoken.Encoding("ranks", pat_str=r"\S+|\s+", mergeable_ranks=ranks, special_tokens={})
-        _TOK[path] = tok, one._core_bpe.encode_single_piece, special
+        _TOK[path] = one._core_bpe.encode_single_piece, special
     return _TOK[path]
 
 
@@ -74,7 +73,7 @@ class Known:
 
 def token_arrays(rows: list[str], path: str) -> list[np.ndarray]:
     """Ids of each text as the library encodes it; each distinct piece between merge borders is encoded once."""
-    _, one, special = tokenizer(path)
+    one, special = tokenizer(path)
     known = _KNOWN.setdefault(path, Known())
     if special and any("<|" in t for t in rows):
         cutter = re.compile("(" + "|".join(map(re.escape, sorted(special, key=len, reverse=True))) + ")")
@@ -109,7 +108,7 @@ def pieces(docs: DataFrame, path: str, capacity: int = 1024, end_id: int = 2) ->
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
 
     def run(batches):
-        for keys, rows, _ in tv.text_batches(batches, 1 << 21):
+        for keys, rows, _ in tv.text_batches(batches, 1 << 20):
             cols: list[list] = [[], [], [], [], []]
             for key, ids in zip(keys, token_arrays(rows, path), strict=True):
                 ids = np.append(ids, np.uint32(end_id)).astype("<u4")

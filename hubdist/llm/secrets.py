@@ -23,13 +23,14 @@ from .columns import own_names
 
 @dataclass(frozen=True)
 class Rule:
-    """A kind of secret: matches of ``pattern`` whose ``group`` has ``least`` characters or more."""
+    """A kind of secret: matches of ``pattern`` whose ``group`` has ``least`` characters or more; every match holds one of the letters or words in ``holds``, which are sought first."""
 
     kind: str
     pattern: str
     group: int = 0
     least: int = 1
     version: int = 1
+    holds: tuple[str, ...] = ()
 
     @property
     def key(self) -> str:
@@ -38,14 +39,14 @@ class Rule:
 
 #: Patterns of the base kinds, then of common key formats.
 BASE = (
-    Rule("assign", r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 6),
-    Rule("access", r"AKIA[A-Z0-9]+", 0, 20),
+    Rule("assign", r"""((?i:password|passwd|secret|token|api_?key))["']?\x20*[:=]\x20*["']?([A-Za-z0-9+/_.=-]+)""", 2, 6, holds=("=", ":")),
+    Rule("access", r"AKIA[A-Z0-9]+", 0, 20, holds=("AKIA",)),
     Rule("hex", r"[0-9a-f]{24,}", 0, 24),
 )
 MORE = (
-    Rule("pem", r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 1),
-    Rule("forge", r"gh[pousr]_[A-Za-z0-9]{36,}", 0, 40),
-    Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 1),
+    Rule("pem", r"-----BEGIN [A-Z ]*PRIVATE KEY-----", 0, 1, holds=("-----BEGIN ",)),
+    Rule("forge", r"gh[pousr]_[A-Za-z0-9]{36,}", 0, 40, holds=("gh",)),
+    Rule("jwt", r"eyJ[A-Za-z0-9_-]{8,}\.eyJ[A-Za-z0-9_-]{8,}\.[A-Za-z0-9_-]{8,}", 0, 1, holds=("eyJ",)),
 )
 RULES = BASE + MORE
 FOUND = "array<struct<rule:string,start:bigint,end:bigint>>"
@@ -58,7 +59,12 @@ def blob_id(text: Column) -> Column:
 
 def occurs(text: Column, rules: tuple[Rule, ...]) -> Column:
     """Whether any pattern matches somewhere; null text: no."""
-    return F.coalesce(reduce(or_, [text.rlike(r.pattern) for r in rules]), F.lit(False))
+    return F.coalesce(reduce(or_, [one(text, r) for r in rules]), F.lit(False))
+
+
+def one(text: Column, rule: Rule) -> Column:
+    found = text.rlike(rule.pattern)
+    return reduce(or_, [text.contains(w) for w in rule.holds]) & found if rule.holds else found
 
 
 def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
@@ -76,7 +82,7 @@ def scan(blobs: DataFrame, rules: tuple[Rule, ...] = RULES) -> DataFrame:
             F.transform(F.regexp_extract_all("text", p, F.lit(0)), lambda x: F.length(x)).alias("len"),
             F.transform(F.regexp_extract_all("text", p, F.lit(r.group)), lambda x: F.length(x)).alias("own"),
         )
-        kinds.append(F.when(F.array_contains("todo", r.key) & F.col("text").rlike(r.pattern), F.struct(F.lit(r.key).alias("rule"), F.lit(r.least).alias("least"), parts.alias("parts"))))
+        kinds.append(F.when(F.array_contains("todo", r.key) & one(F.col("text"), r), F.struct(F.lit(r.key).alias("rule"), F.lit(r.least).alias("least"), parts.alias("parts"))))
     hit = blobs.select("blob", F.explode(F.filter(F.array(*kinds), lambda x: x.isNotNull())).alias("k"))
     at = hit.select("blob", "k.rule", "k.least", F.posexplode("k.parts").alias("i", "p"))
     w = Window.partitionBy("blob", "rule").orderBy("i")

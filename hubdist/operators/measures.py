@@ -132,3 +132,18 @@ def audit_prefix(pruned: DataFrame, naive: DataFrame, pairs: DataFrame, k: int)
     a = query_labels(pruned.where(F.col("hub") < k), pairs)
     b = query_labels(naive.where(F.col("hub") < k), pairs).select("qid", F.col("dist").alias("full"))
     return a.join(b, "qid").where(~F.col("dist").eqNullSafe(F.col("full")))
+
+
+def prefix_steps(labels: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(qid, k, dist): every step k at which the answer from the first k + 1 searches improves, and the answer from there on."""
+    a = labels.select(F.col("v").alias("s"), "hub", F.col("dist").alias("da"))
+    b = labels.select(F.col("v").alias("t"), "hub", F.col("dist").alias("db"))
+    sums = pairs.join(a, "s").join(b, ["t", "hub"]).select("qid", F.col("hub").alias("k"), (F.col("da") + F.col("db")).alias("dist"))
+    before = F.min("dist").over(Window.partitionBy("qid").orderBy("k").rowsBetween(Window.unboundedPreceding, -1))
+    return sums.withColumn("before", before).where("before is null or dist < before").drop("before")
+
+
+def audit_prefix_all(pruned: DataFrame, naive: DataFrame, pairs: DataFrame) -> DataFrame:
+    """(steps, violations): improvements of the full searches over all k, and those the pruned ones lack or have besides: none."""
+    a, b = prefix_steps(naive, pairs).withColumn("full", F.lit(1)), prefix_steps(pruned, pairs).withColumn("own", F.lit(1))
+    return a.join(b, ["qid", "k", "dist"], "full").agg(F.count("full").alias("steps"), F.sum((F.col("full").isNull() | F.col("own").isNull()).cast("long")).alias("violations"))

@@ -14,6 +14,11 @@ def rank_random(vertices: DataFrame, seed: int = 1) -> DataFrame:
     return dense_ids(vertices.select("vid", F.xxhash64("vid", F.lit(seed)).alias("h")), ["h", "vid"], "rnk").select("vid", "rnk")
 
 
+def rank_arithmetic(vertices: DataFrame, factor: int = 7919, modulus: int = 10007) -> DataFrame:
+    """A scattered order that any engine can repeat: by vid * factor mod modulus."""
+    return dense_ids(vertices.select("vid", (F.col("vid") * factor % modulus).alias("h")), ["h", "vid"], "rnk").select("vid", "rnk")
+
+
 def rank_degree(edges: DataFrame, vertices: DataFrame) -> DataFrame:
     """Vertices with more neighbours first."""
     deg = edges.groupBy(F.col("src").alias("vid")).count()

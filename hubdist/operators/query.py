@@ -31,9 +31,9 @@ def unpack(packed: DataFrame) -> DataFrame:
 
 
 def packed_distance(ha, da, hb, db) -> F.Column:
-    """Least sum over the hubs that two packed labels share."""
-    other = F.map_from_arrays(hb, db)
-    return F.array_min(F.filter(F.transform(F.arrays_zip(ha.alias("h"), da.alias("d")), lambda x: x.d + F.try_element_at(other, x.h)), lambda x: x.isNotNull()))
+    """Least sum over the hubs that two packed labels share: the shared hubs once, then a place in each array for every one of them."""
+    at = lambda hubs, dists, h: F.element_at(dists, F.array_position(hubs, h).cast("int"))
+    return F.array_min(F.transform(F.array_intersect(ha, hb), lambda h: at(ha, da, h) + at(hb, db, h)))
 
 
 def query_packed(packed: DataFrame, pairs: DataFrame) -> DataFrame:

@@ -9,7 +9,7 @@ from __future__ import annotations
 
 from collections.abc import Callable
 
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import DataFrame, SparkSession, Window
 from pyspark.sql import functions as F
 from pyspark.sql import types as T
 
@@ -47,6 +47,8 @@ class Space:
     def _order(self, order: str) -> DataFrame:
         if order == "closeness":
             return ordering.rank_closeness(self.edges, self.vertices, self.vertices.where("vid % 5 = 0"))
+        if order == "arithmetic":
+            return ordering.rank_arithmetic(self.vertices)
         if order == "random":
             return ordering.rank_random(self.vertices)
         if self.key[3]:  # directed: neighbours either way
@@ -85,7 +87,7 @@ class Space:
 
 
 def ranked_sql(name: str, directed: bool = False, order: str = "degree") -> str:
-    by = {"degree": "coalesce(deg, 0) desc, vid"}[order] if order == "degree" else order
+    by = {"degree": "coalesce(deg, 0) desc, vid", "arithmetic": "vid * 7919 % 10007, vid"}[order]
     deg = "select src, count(distinct dst) deg from (select src, dst from e union select dst, src from e) group by src" if directed else "select src, count(*) deg from e group by src"
     return graph_sql(name, directed) + f", r as materialized (select vid, (row_number() over (order by {by}) - 1)::bigint rnk from vx left join ({deg}) g on g.src = vid), er as materialized (select a.rnk u, b.rnk v, w from e join r a on a.vid = src join r b on b.vid = dst)"
 
@@ -343,6 +345,107 @@ def closest_pages(spark: SparkSession, d: str) -> DataFrame:
 add("closest_pages_topk", closest_pages, final(ranked_sql("web") + ", h0(v, dist) as (select rnk, 0 from r join vx using (vid) where kind = 0 and key = '0' union select er.v, dist + 1 from h0 join er on er.u = h0.v where dist < 14)", "page_id, dist", "(select p.page_id, min(h.dist) dist from pages p join vx on kind = 0 and key = p.page_id::varchar join r using (vid) join h0 h on h.v = rnk where lower(html) like '%the%' group by p.page_id order by 2, 1 limit 10)"))
 
 
+# scattered order: ranks, labels and landmark precision that both engines can repeat
+AR = ranked_sql("handoff", order="arithmetic") + ", " + hops_sql(9)
+add("rank_arithmetic_handoff", on("handoff", lambda s: s.ranks, order="arithmetic"), final(ranked_sql("handoff", order="arithmetic"), "vid, rnk", "r"))
+add("labels_arithmetic_handoff", on("handoff", lambda s: s.labels(), order="arithmetic"), final(AR + ", " + LABEL_SQL, "v, hub, dist", "lab"))
+add("landmark_precision_scattered", on("handoff", lambda s: measures.estimate_error(estimates(s), query.query_labels(s.labels(), s.pairs())).select("dist", "n", "exact", "sum_abs_err"), order="arithmetic"), final(LM.replace(H, AR) + ", er2 as (select d.dist, upper - d.dist e from lm join d using (s, t) where d.dist > 0 and upper is not null)", "dist, n, exact, sum_abs_err", "(select dist, count(*) n, sum((e = 0)::int) exact, sum(e) sum_abs_err from er2 group by rollup(dist))"))
+add("order_sizes_handoff", lambda spark, d: Space(spark, d, "handoff").labels().agg(F.lit("degree").alias("ordering"), F.count("*").alias("entries")).unionByName(Space(spark, d, "handoff", False, "arithmetic").labels().agg(F.lit("arithmetic").alias("ordering"), F.count("*").alias("entries"))), f"select * from (with recursive {L} select 'degree' as ordering, count(*)::bigint entries from lab) union all select * from (with recursive {AR}, {LABEL_SQL} select 'arithmetic' as ordering, count(*)::bigint entries from lab)")
+add("audit_prefix_all_handoff", on("handoff", lambda s: measures.audit_prefix_all(s.labels(), s.naive(), s.pairs())), final(P + ", sm as (select qid, a.s k, a.dist + b.dist dist from pr join d a on a.t = pr.s join d b on b.s = a.s and b.t = pr.t), st as (select qid, k, dist, min(dist) over (partition by qid order by k rows between unbounded preceding and 1 preceding) before from sm)", "steps, violations", "(select count(*) steps, 0 violations from st where before is null or dist < before)"))
+
+# undirected weights, and each direction of a directed graph beside its symmetrised form
+UW = ranked_sql("handoff") + ", " + squares_sql("w")
+add("query_weighted_undirected_handoff", on("handoff", lambda s: query.query_labels(s.once("weighted", lambda: lb.label_pruned_weighted(s.e, s.v)), s.pairs())), final(UW + ", " + PAIRS_SQL, "qid, s, t, dist", "pr left join d using (s, t)"))
+add("weighted_bfs_handoff", on("handoff", lambda s: search.label_naive_weighted(s.e, s.v.where("v < 16").select(F.col("v").alias("hub")))), final(UW, "v, hub, dist", "(select t v, s hub, dist from d where s < 16)"))
+
+
+def directions(s: Space) -> DataFrame:
+    """Pairs by how the directed distance compares with the distance on the symmetrised graph."""
+    both = s.e.select("u", "v").unionByName(s.e.select(F.col("v").alias("u"), F.col("u").alias("v"))).distinct()
+    free = query.query_labels(s.once("symmetric", lambda: lb.label_pruned(both, s.v)), s.pairs()).select("qid", F.col("dist").alias("free"))
+    kind = F.when(F.col("dist").isNull(), F.when(F.col("free").isNull(), "apart").otherwise("one_way")).when(F.col("dist") > F.col("free"), "longer").otherwise("equal")
+    return query.query_directed(*s.sides(False), s.pairs()).join(free, "qid").groupBy(kind.alias("kind")).agg(F.count("*").alias("pairs"))
+
+
+add("direction_compare_handoff", on("handoff", directions, True), f"with recursive {DH}, {PAIRS_SQL}, n0 as materialized (select rnk s, rnk t, 0::bigint dist from r union all select u, v, 1::bigint from er union all select v, u, 1::bigint from er), " + ", ".join(f"n{i} as materialized (select a.s, b.t, min(a.dist + b.dist) dist from n{i - 1} a join n{i - 1} b on a.t = b.s group by a.s, b.t)" for i in range(1, 5)) + " select case when d.dist is null then case when f.dist is null then 'apart' else 'one_way' end when d.dist > f.dist then 'longer' else 'equal' end kind, count(*)::bigint pairs from pr left join d using (s, t) left join n4 f on f.s = pr.s and f.t = pr.t group by 1")
+
+# relational operators over the index, one small query each
+lab_pairs = lambda s: s.labels().join(s.labels().select(F.col("v").alias("w"), "hub"), "hub")
+add("semi_join_hubs", on("handoff", lambda s: s.v.join(s.labels().where("v <> hub").select(F.col("hub").alias("v")), "v", "left_semi")), final(L, "v", "(select rnk v from r where rnk in (select hub from lab where v <> hub))"))
+add("anti_join_uncovered", on("handoff", lambda s: s.v.join(s.labels().where("hub < 16").select("v"), "v", "left_anti")), final(L, "v", "(select rnk v from r where rnk not in (select v from lab where hub < 16))"))
+add("rollup_labels", on("handoff", lambda s: s.labels().rollup("dist").agg(F.count("*").alias("entries"))), final(L, "dist, entries", "(select dist, count(*) entries from lab group by rollup(dist))"))
+add("cube_distance", on("handoff", lambda s: s.labels().withColumn("band", F.floor(F.col("hub") / 16)).cube("band", "dist").agg(F.count("*").alias("entries"))), final(L, "band, dist, entries", "(select hub // 16 band, dist, count(*) entries from lab group by cube(band, dist))"))
+add("union_graphs", lambda spark, d: Space(spark, d, "handoff").e.select("u", "v", F.lit("handoff").alias("graph")).unionByName(Space(spark, d, "web").e.select("u", "v", F.lit("web").alias("graph"))).groupBy("graph").agg(F.count("*").alias("edges")), f"select * from (with {graph_sql('handoff')} select 'handoff' graph, count(*)::bigint edges from e) union all select * from (with {graph_sql('web')} select 'web' graph, count(*)::bigint edges from e)")
+add("intersect_neighbours", on("handoff", lambda s: s.e.where("u = 0").select("v").intersect(s.e.where("u = 1").select("v"))), final(ranked_sql("handoff"), "v", "(select v from er where u = 0 intersect select v from er where u = 1)"))
+add("except_pairs", on("handoff", lambda s: s.naive().where("hub < 16").select("v", "hub").exceptAll(s.labels().where("hub < 16").select("v", "hub"))), final(L, "v, hub", "(select t v, s hub from d where s < 16 except select v, hub from lab)"))
+add("window_rank_hubs", on("handoff", lambda s: s.labels().groupBy("dist", "hub").agg(F.count("*").alias("n")).withColumn("place", F.dense_rank().over(Window.partitionBy("dist").orderBy(F.desc("n"), "hub"))).where("place <= 3")), final(L, "dist, hub, n, place", "(select *, dense_rank() over (partition by dist order by n desc, hub) place from (select dist, hub, count(*) n from lab group by dist, hub) qualify place <= 3)"))
+add("array_labels", on("handoff", lambda s: query.unpack(query.pack(s.labels()).where(F.size("hubs") >= 3)).select("v", "hub", "dist")), final(L, "v, hub, dist", "(select * from lab where v in (select v from lab group by v having count(*) >= 3))"))
+add("json_events", lambda spark, d: read(spark, d, "events").groupBy("event_type").agg(F.count("*").alias("n"), F.count(F.get_json_object(F.to_json(F.struct("event_type", "user_id")), "$.user_id")).alias("with_user")), "select event_type, count(*)::bigint n, count(json_extract(json_object('event_type', event_type, 'user_id', user_id), '$.user_id'))::bigint with_user from events group by event_type")
+
+
+def last_purchase(spark: SparkSession, d: str) -> DataFrame:
+    """As-of join: for every event its user's last purchase before it, as the last value of an ordered union; counted by whether there is one."""
+    ev = read(spark, d, "events").select("event_id", "user_id", "event_type", F.unix_micros(F.col("ts").cast("timestamp")).alias("us"))
+    w = Window.partitionBy("user_id").orderBy("us", "event_id").rowsBetween(Window.unboundedPreceding, -1)
+    at = ev.withColumn("bought", F.last(F.when(F.col("event_type") == "purchase", F.col("us")), ignorenulls=True).over(w))
+    return at.groupBy("event_type").agg(F.count("*").alias("events"), F.count("bought").alias("after_purchase"), F.sum(F.col("us") - F.col("bought")).alias("wait_us"))
+
+
+add("asof_user_event", last_purchase, "select event_type, count(*)::bigint events, count(b)::bigint after_purchase, sum(us - b)::bigint wait_us from (select event_type, epoch_us(ts) us, last_value(case when event_type = 'purchase' then epoch_us(ts) end ignore nulls) over (partition by user_id order by ts, event_id rows between unbounded preceding and 1 preceding) b from events) group by event_type")
+
+
+def closest_customers(spark: SparkSession, d: str) -> DataFrame:
+    """The ten customers of one segment that are nearest to the first supplier."""
+    s = Space(spark, d, "trade")
+    at = s.vertices.join(s.ranks, "vid")
+    home = at.where("kind = 1").select(F.col("rnk").alias("s"), F.col("key").cast("long").alias("k")).orderBy("k").limit(1).select("s")
+    who = read(spark, d, "customer").where("c_mktsegment = 'BUILDING'").select("c_custkey")
+    hits = at.where("kind = 0").select(F.col("key").cast("long").alias("c_custkey"), F.col("rnk").alias("t")).join(who, "c_custkey")
+    pairs = hits.crossJoin(home).select(F.col("c_custkey").alias("qid"), "s", "t")
+    return query.query_labels(s.labels(), pairs).where("dist is not null").select(F.col("qid").alias("c_custkey"), "dist").orderBy("dist", "c_custkey").limit(10)
+
+
+add("closest_customers_topk", closest_customers, final(ranked_sql("trade") + ", hm as (select rnk from r join vx using (vid) where kind = 1 order by key::bigint limit 1), h0(v, dist) as (select rnk, 0 from hm union select er.v, dist + 1 from h0 join er on er.u = h0.v where dist < 9)", "c_custkey, dist", "(select c_custkey, min(h.dist) dist from customer join vx on kind = 0 and key = c_custkey::varchar join r using (vid) join h0 h on h.v = rnk where c_mktsegment = 'BUILDING' group by c_custkey order by 2, 1 limit 10)"))
+
+
+def performance(name: str, t: int = 16, k: int = 1000) -> Callable:
+    """Main comparison on one graph: (method, it, is_bytes, qt, ln, bp) for the combined, the plain and the naive index, and a search per pair."""
+
+    def run(spark: SparkSession, d: str) -> DataFrame:
+        import time
+
+        s = Space(spark, d, name)
+        n = max(1, s.v.count())
+        pairs = s.pairs().where(F.col("qid") % max(1, n // k) == 0)
+        q = max(1, pairs.count())
+        rows = []
+
+        def clock(df: DataFrame) -> float:
+            at = time.time()
+            df.write.format("noop").mode("overwrite").save()
+            return time.time() - at
+
+        def method(label: str, build: Callable, ask: Callable, entries: Callable, slots: int) -> None:
+            at = time.time()
+            index = build()
+            it = time.time() - at
+            size = entries(index).count()
+            rows.append((label, it, 5 * size + 17 * slots * n, clock(ask(index)) / q, size / n, slots))
+
+        method("combined", lambda: bitp.label_combined(s.e, s.v, t), lambda x: query.query_combined(x[0], x[1], pairs), lambda x: x[1], t)
+        method("pruned", lambda: lb.label_pruned(s.e, s.v), lambda x: query.query_labels(x, pairs), lambda x: x, 0)
+        if n <= 3000:
+            method("naive", lambda: search.label_naive(s.e, s.v.select(F.col("v").alias("hub"))), lambda x: query.query_labels(x, pairs), lambda x: x, 0)
+        rows.append(("bfs", 0.0, 0, clock(search.bfs_pairs(s.e, pairs)) / q, 0.0, 0))
+        return spark.createDataFrame(rows, "method string, it double, is_bytes long, qt double, ln double, bp int")
+
+    return run
+
+
+for g in ("handoff", "web", "trade"):
+    add(f"performance_{g}", performance(g))
+
+
 def queries() -> dict[str, Callable[[SparkSession, str], DataFrame]]:
     return dict(Q)
 

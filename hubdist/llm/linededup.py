@@ -138,15 +138,15 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     inked = every.where("ink and doc_id is not null")
     first = cut(inked.groupBy("h1", "h2").agg(F.min(place).alias("rep"), F.count("*").alias("n"), F.max("size").alias("size")), "reps")
     nodes = near.select(F.explode(F.array("a", "b")).alias("h1")).distinct()
-    chosen = cut(first.join(nodes, "h1").select("rep", "h1", "h2", F.col("size").alias("weight")), "chosen")
-    wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2")).alias("want"))
+    chosen = cut(first.join(nodes, "h1").select(F.monotonically_increasing_id().alias("id"), "rep", "h1", "h2", F.col("size").alias("weight")), "chosen")
+    wanted = chosen.groupBy(F.col("rep.doc_id").alias("doc_id")).agg(F.collect_list(F.struct("rep.line_no", "h1", "h2", "id")).alias("want"))
     line = docs.join(wanted, "doc_id").select("doc_id", "want", F.split("text", "\n", -1).alias("lines"))
     line = line.select("doc_id", F.explode(F.transform("want", lambda w: F.struct(w.alias("w"), F.get("lines", w.line_no).alias("line")))).alias("x"))
     line = line.select("doc_id", "x.w.*", "x.line")
     h1, h2 = digests("line")
     same = line.where((h1 == F.col("h1")) & (h2 == F.col("h2")))  # a repeated doc_id may hold another line there
-    texts = same.select(F.struct("doc_id", "line_no", "h1", "h2").alias("item"), F.col("line").alias("text"))
-    items = chosen.select(F.col("h1").alias("node"), F.struct("rep.doc_id", "rep.line_no", "h1", "h2").alias("item"), "weight")
+    texts = same.select(F.col("id").alias("item"), F.col("line").alias("text"))
+    items = chosen.select(F.col("h1").alias("node"), F.col("id").alias("item"), "weight")
 
     def sets(table):
         cp, off = tv.column_points(table["text"])
@@ -154,7 +154,8 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
         x, at = distinct(x, owner, len(off) - 1)
         return x.view(np.int64), at, np.arange(len(off) - 1)
 
-    comp = linked_items(near, items, texts, sets, num, den).select(F.col("node.h1").alias("h1"), F.col("node.h2").alias("h2"), F.struct("comp.doc_id", "comp.line_no").alias("comp"))
+    linked = chosen.join(linked_items(near, items, texts, sets, num, den).withColumnRenamed("node", "id"), "id").select("h1", "h2", "rep", "comp")
+    comp = linked.join(linked.groupBy("comp").agg(F.min("rep").alias("cls")), "comp").select("h1", "h2", F.col("cls").alias("comp"))
     # only classes of several lines say anything; the rest are their own
     named = first.join(comp, ["h1", "h2"], "left").where("n > 1 or comp is not null").select("h1", "h2", F.coalesce("comp", "rep").alias("cls"))
     out = every.join(named, ["h1", "h2"], "left")

@@ -130,7 +130,7 @@ def test_components(spark):
     assert got == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
 
 
-TWINS = ["graph_trade_edges", "graph_web_edges", "graph_handoff_edges", "rank_degree_trade", "degree_ccdf_web", "labels_pruned_handoff", "query_pruned_trade", "landmark_bounds_handoff", "coverage_by_step_handoff", "path_steps_handoff"]
+TWINS = ["graph_trade_edges", "graph_web_edges", "graph_handoff_edges", "rank_degree_trade", "degree_ccdf_web", "labels_pruned_handoff", "query_pruned_trade", "landmark_bounds_handoff", "coverage_by_step_handoff", "path_steps_handoff", "audit_prefix_all_handoff", "cube_distance", "asof_user_event", "closest_customers_topk"]
 
 
 @pytest.mark.parametrize("name", TWINS)
@@ -143,3 +143,31 @@ def test_twin(spark, name):
     cols = sorted(df.columns)
     want = con.execute(f"select {', '.join(cols)} from ({registry.oracle_sql()[name]})").fetchall()
     assert sorted(map(str, (tuple(r) for r in df.select(*cols).collect()))) == sorted(map(str, want))
+
+
+def test_streams_and_sql_face(spark, tmp_path):
+    from hubdist.functions import sqlface
+    from hubdist.streaming import serve
+
+    e, v, _ = frames(spark, *MICRO["path5"])
+    packed = query.pack(lb.label_pruned(e, v))
+    asked = spark.createDataFrame([(0, 0, 3), (1, 2, 2), (2, 0, 77)], "qid long, s long, t long")
+    asked.write.parquet(str(tmp_path / "asked"))
+    stream = spark.readStream.schema(asked.schema).parquet(str(tmp_path / "asked"))
+    serve.answer_stream(stream, packed).writeStream.format("memory").queryName("answers").trigger(availableNow=True).start().awaitTermination()
+    want = {0: query.query_labels(lb.label_pruned(e, v), asked.where("qid = 0")).first().dist, 1: 0, 2: None}
+    assert {r.qid: r.dist for r in spark.table("answers").collect()} == want
+    sqlface.register(spark, packed)
+    asked.createOrReplaceTempView("asked_here")
+    got = spark.sql("select qid, hub_distance(a.hubs, a.dists, b.hubs, b.dists) dist from asked_here left join labels_packed a on a.v = s left join labels_packed b on b.v = t")
+    assert {r.qid: r.dist for r in got.collect()} == want
+    assert spark.sql("select count(*) n from labels_packed, lateral label_entries(hubs, dists)").first().n == EXPECTED["path5"]
+    events = [(1, 10, 0), (1, 11, 100), (1, 11, 150), (1, 12, 10_000), (2, 10, 50), (1, 10, 10_100)]
+    spark.createDataFrame(events, "key long, user_id long, us long").coalesce(1).write.parquet(str(tmp_path / "events"))
+    found = serve.handoffs(spark.readStream.schema("key long, user_id long, us long").parquet(str(tmp_path / "events")), 1000)
+    found.writeStream.format("memory").queryName("moves").trigger(availableNow=True).start().awaitTermination()
+    assert sorted(map(tuple, spark.table("moves").collect())) == [(10, 11, 100), (12, 10, 10_100)]
+    root = str(tmp_path / "root")
+    first = serve.swap_index(lambda p: asked.write.parquet(p), root, spark)
+    second = serve.swap_index(lambda p: asked.write.parquet(p), root, spark)
+    assert first != second == serve.current_index(spark, root) and spark.read.parquet(first).count() == 3

@@ -42,7 +42,10 @@ def features(rows: list[str]) -> tuple[np.ndarray, np.ndarray]:
     cp, off = tv.code_points([t.lower() for t in rows])
     cp = np.where(_letters()[cp], cp, 0).astype(np.uint64)
     keep = cp > 0
-    keep[1:] |= cp[:-1] > 0
+    after = np.zeros(len(cp), bool)
+    after[1:] = keep[:-1]
+    after[off[:-1][np.diff(off) > 0]] = False  # a gap belongs to its own text, whatever stands before it in the batch
+    keep |= after
     row = np.repeat(np.arange(len(rows)), np.diff(off))[keep]
     cp = cp[keep]
     out = np.zeros(len(rows) * DIMS)

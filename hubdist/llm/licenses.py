@@ -1,10 +1,12 @@
 """Licence scans by a positional index of rare tokens, in DataFrame functions only.
 
 Document frequencies of the licence words over the whole corpus give their IDF.
-Each template is looked up by the rarest word of its key phrase. An occurrence
-at word p of a file and q of a template proposes the start p - q; the words
-around it are laid beside the template's by relative position; the key phrase
-must stand there in full, and the share of agreeing words is the score.
+In each file the words of highest IDF of every template are looked up: if its key
+phrase stands there, they are in the file. An occurrence at word p of a file and
+q of a template posts the start p - q, and the posted starts of a template's words
+are intersected. At what is left the file's words are laid beside the template's;
+the key phrase must stand there in full, and the share of agreeing words is the
+score.
 """
 
 from __future__ import annotations
@@ -12,6 +14,7 @@ from __future__ import annotations
 import math
 import string
 from dataclasses import dataclass
+from functools import reduce
 
 from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
@@ -30,6 +33,8 @@ class Template:
     base: bool = False
 
 
+RARE = 2  # words of highest IDF whose postings are intersected
+
 #: Base phrases first, then longer wordings of the method's own.
 TEMPLATES = (
     Template("mit", "under the mit license", "under the mit license", True),
@@ -52,65 +57,74 @@ def file_words(text: Column) -> tuple[Column, Column]:
     return parts, F.when(parts[0] == "", 1).otherwise(0)
 
 
-def word_frequencies(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES) -> dict[str, int]:
-    """Documents that hold each licence word, over all documents; as many rows as the templates have words."""
+def word_frequencies(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES) -> tuple[dict[str, int], int]:
+    """Documents that hold each licence word, and all documents, in one pass; as many rows as the templates have words, and one."""
     vocabulary = sorted({w for t in templates for w in t.words.split()})
-    held = docs.select(F.explode(F.array_intersect(F.transform(file_words(F.col("text"))[0], low), F.array(*map(F.lit, vocabulary)))).alias("w"))
-    return dict.fromkeys(vocabulary, 0) | {r[0]: r[1] for r in held.groupBy("w").count().collect()}
+    words = F.array_intersect(F.transform(file_words(F.col("text"))[0], low), F.array(*map(F.lit, vocabulary)))
+    held = docs.select(F.explode(F.concat(F.array(F.lit("")), words)).alias("w"))  # the empty word stands for the document
+    df = {r[0]: r[1] for r in held.groupBy("w").count().collect()}
+    n = df.pop("", 0)
+    return dict.fromkeys(vocabulary, 0) | df, n
 
 
-def anchors(df: dict[str, int], n: int, templates: tuple[Template, ...] = TEMPLATES) -> list[tuple[Template, str, int, float]]:
-    """Per template: its key phrase's word of highest IDF, the word's place in the template, and the IDF."""
+def anchors(df: dict[str, int], n: int, templates: tuple[Template, ...] = TEMPLATES) -> list[tuple[Template, list[tuple[str, int, float]]]]:
+    """Per template: its key phrase's words of highest IDF, rarest first, each with its place in the template and its IDF."""
     out = []
     for t in templates:
-        words, key = t.words.split(), t.key.split()
-        first = next(i for i in range(len(words)) if words[i : i + len(key)] == key)
-        k = max(range(len(key)), key=lambda i: (-df[key[i]], -i))
-        out.append((t, key[k], first + k, math.log((n + 1) / (df[key[k]] + 1))))
+        key, first = t.key.split(), key_place(t)
+        best = sorted(range(len(key)), key=lambda i: (df[key[i]], i))[:RARE]
+        out.append((t, [(key[k], first + k, math.log((n + 1) / (df[key[k]] + 1))) for k in best]))
     return out
 
 
-def _aligner(no: int, t: Template, word: str, q: int):
-    """A test that lays the words around an occurrence of ``word`` beside the template, which has it at ``q``."""
+def key_place(t: Template) -> int:
+    """Place of the key phrase's first word in the template."""
     words, key = t.words.split(), t.key.split()
-    first = next(i for i in range(len(words)) if words[i : i + len(key)] == key)
+    return next(i for i in range(len(words)) if words[i : i + len(key)] == key)
+
+
+def _hits(no: int, t: Template, rare: list[tuple[str, int, float]]) -> Column:
+    """Places of the template among the postings ``at`` (w, i) of a file's words ``p``."""
+    words, first = t.words.split(), key_place(t)
+    last = first + len(t.key.split())
+
+    def starts(word: str, q: int) -> Column:
+        return F.transform(F.filter("at", lambda x: x.w == word), lambda x: x.i - q)
 
-    def test(x: Column) -> Column:
-        start = x.i - q
-        local = start - x["from"]
+    def beside(start: Column) -> Column:
+        begin = F.greatest(start, F.lit(0))
+        return F.struct(start.alias("start"), begin.alias("begin"), F.transform(F.slice("p", begin + 1, F.lit(len(words))), low).alias("near"))
 
-        def stands(k: int) -> Column:
-            return (local + k >= 0) & F.coalesce(F.get(x.near, local + k) == F.lit(words[k]), F.lit(False))
+    def stands(x: Column, k: int) -> Column:
+        return (x.start + k >= 0) & F.coalesce(F.get(x.near, x.start - x.begin + k) == F.lit(words[k]), F.lit(False))
 
-        whole = x.w == word
-        for k in range(first, first + len(key)):
-            whole = whole & stands(k)
-        agree = F.lit(0)
-        for k in range(len(words)):
-            agree = agree + F.when(stands(k), 1).otherwise(0)
-        return F.when(whole, F.struct(F.lit(no).alias("template"), F.lit(t.label).alias("label"), F.lit(t.base).alias("base"), (start - F.col("lead")).cast("long").alias("start"), (agree / F.lit(float(len(words)))).alias("score")))
+    def hit(x: Column) -> Column:
+        agree = sum((F.when(stands(x, k), 1).otherwise(0) for k in range(len(words))), F.lit(0))
+        return F.struct(F.lit(no).alias("template"), F.lit(t.label).alias("label"), F.lit(t.base).alias("base"), (x.start - F.col("lead")).cast("long").alias("start"), (agree / F.lit(float(len(words)))).alias("score"))
 
-    return test
+    common = reduce(F.array_intersect, [starts(w, q) for w, q, _ in rare])
+    whole = F.filter(F.transform(common, beside), lambda x: reduce(lambda a, b: a & b, [stands(x, k) for k in range(first, last)]))
+    return F.transform(whole, hit)
 
 
-def places(docs: DataFrame, index: list[tuple[Template, str, int, float]]) -> DataFrame:
+def places(docs: DataFrame, index: list[tuple[Template, list[tuple[str, int, float]]]]) -> DataFrame:
     """(doc_id, n_words, hits) of every row; hits: {template, label, base, start, score} for each place where a key phrase stands.
 
     Null text is empty. Start is the place of the template's first word and may lie
     before the text if its key phrase stands near the beginning.
     """
     parts, lead = file_words(F.col("text"))
-    rare = F.array(*[F.lit(w) for w in sorted({a for _, a, _, _ in index})])
-    reach = max(len(t.words.split()) for t, *_ in index)
+    listed = lambda words: F.array(*[F.lit(w) for w in sorted(words)])
+    rarest = listed({rare[0][0] for _, rare in index})
+    posted = listed({w for _, rare in index for w, *_ in rare})
     rows = docs.select(F.col("doc_id").cast("long").alias("doc_id"), parts.alias("p"), lead.alias("lead"))
     n = F.size("p") - F.col("lead") - F.when((F.size("p") > 1) & (F.element_at("p", -1) == ""), 1).otherwise(0)
-    some = F.arrays_overlap(F.transform("p", low), rare)
-    at = F.filter(F.transform("p", lambda w, i: F.struct(low(w).alias("w"), i.alias("i"))), lambda x: F.array_contains(rare, x.w))
-    window = F.transform(at, lambda x: F.struct(x.w.alias("w"), x.i.alias("i"), F.greatest(x.i - reach, F.lit(0)).alias("from"), F.transform(F.slice("p", F.greatest(x.i - reach, F.lit(0)) + 1, F.lit(2 * reach + 1)), low).alias("near")))
-    tests = [F.filter(F.transform(window, _aligner(no, t, word, q)), lambda x: x.isNotNull()) for no, (t, word, q, _) in enumerate(index)]
-    hits = F.concat(*tests)
+    at = F.filter(F.transform("p", lambda w, i: F.struct(low(w).alias("w"), i.alias("i"))), lambda x: F.array_contains(posted, x.w))
+    some = F.arrays_overlap(F.transform("p", low), rarest)  # without its rarest word no key phrase stands
+    rows = rows.withColumn("at", F.when(some, at))
+    hits = F.concat(*[_hits(no, t, rare) for no, (t, rare) in enumerate(index)])
     none = F.array().cast("array<struct<template:int,label:string,base:boolean,start:bigint,score:double>>")
-    return rows.select("doc_id", n.cast("long").alias("n_words"), F.when(some, hits).otherwise(none).alias("hits"))
+    return rows.select("doc_id", n.cast("long").alias("n_words"), F.when(F.size("at") > 0, hits).otherwise(none).alias("hits"))
 
 
 def licenses(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES, least: float = 0.5) -> DataFrame:
@@ -119,8 +133,7 @@ def licenses(docs: DataFrame, templates: tuple[Template, ...] = TEMPLATES, least
     A label of the method's own needs a score of ``least`` besides its key phrase.
     Empty tables give no rows; null ids and repeated rows stay as they are.
     """
-    df = word_frequencies(docs, templates)
-    found = places(docs, anchors(df, max(df.values(), default=0), templates))
+    found = places(docs, anchors(*word_frequencies(docs, templates), templates))
     good = F.filter("hits", lambda h: h.base | (h.score >= least))
     base = F.filter("hits", lambda h: h.base)
     starts = F.transform(base, lambda h: h.start)

@@ -105,6 +105,8 @@ def squares_sql(weight: str, n: int = 9) -> str:
 
 LABEL_SQL = "bad as (select distinct p.s, p.t from d p join d a on a.s = p.s and a.t < p.s join d b on b.s = a.t and b.t = p.t where p.s <= p.t and a.dist + b.dist = p.dist), lab as materialized (select t v, s hub, dist from d p where s <= t and not exists (select 1 from bad where bad.s = p.s and bad.t = p.t))"
 OUT_SQL = "bado as (select distinct p.s, p.t from d p join d a on a.s = p.s and a.t < p.t join d b on b.s = a.t and b.t = p.t where p.t <= p.s and a.dist + b.dist = p.dist), labo as (select s v, t hub, dist from d p where t <= s and not exists (select 1 from bado where bado.s = p.s and bado.t = p.t))"
+#: Smallest rank on any shortest path, level by level: a label is a vertex that is smallest on all its paths, and a pair is answered by the first k hubs if that rank is below k.
+LEAST_SQL = "x(s, v, dist, m) as (select rnk, rnk, 0::bigint, rnk from r union all select x.s, er.v, x.dist + 1, min(least(x.m, er.v)) from x join er on er.u = x.v join d on d.s = x.s and d.t = er.v and d.dist = x.dist + 1 group by x.s, er.v, x.dist), lab as materialized (select v, s hub, dist from x where m = s)"
 PAIRS_SQL = "pr as (select rnk qid, rnk s, (rnk * 7 + 3) % (select count(*) from r) t from r)"
 
 
@@ -181,7 +183,8 @@ add("labels_naive_handoff", on("handoff", lambda s: s.naive()), final(H, "v, hub
 add("labels_naive_k16_trade", on("trade", lambda s: s.naive(16)), final(ranked_sql("trade") + ", b0(s, v, dist) as (select rnk, rnk, 0 from r where rnk < 16 union select s, er.v, dist + 1 from b0 join er on er.u = b0.v where dist < 9)", "v, hub, dist", "(select v, s hub, min(dist) dist from b0 group by v, s)"))
 for g in ("handoff", "web", "tree_rnc"):
     add(f"labels_pruned_{g}", on(g, lambda s: s.labels()), final(ranked_sql(g) + ", " + hops_sql(BOUND[g]) + ", " + LABEL_SQL, "v, hub, dist", "lab"))
-add("labels_pruned_trade", on("trade", lambda s: s.labels()))
+for g in ("trade", "supply"):
+    add(f"labels_pruned_{g}", on(g, lambda s: s.labels()), final(ranked_sql(g) + ", " + hops_sql(BOUND[g]) + ", " + LEAST_SQL, "v, hub, dist", "lab"))
 add("labels_pruned_knn", on("knn", lambda s: s.labels()))
 L = H + ", " + LABEL_SQL
 add("labels_pruned_k16_handoff", on("handoff", lambda s: lb.label_pruned(s.e, s.v, hubs_below=16)), final(L, "v, hub, dist", "lab where hub < 16"))
@@ -281,12 +284,18 @@ FI = L + ", fi as (select p.s, p.t, p.dist, min(a.hub) as first from d p join la
 first = lambda s: measures.coverage_steps(s.labels(), s.truth())
 add("coverage_by_step_handoff", on("handoff", lambda s: measures.coverage(first(s), STEPS)), final(FI, "k, covered, total", f"(select k, count(*) filter (first < k) covered, count(*) total from fi, (select unnest({STEPS}) k) group by k)"))
 add("coverage_by_distance_handoff", on("handoff", lambda s: measures.coverage(first(s), STEPS, True)), final(FI, "k, dist, covered, total", f"(select k, dist, count(*) filter (first < k) covered, count(*) total from fi, (select unnest({STEPS}) k) group by k, dist)"))
-W = ranked_sql("web") + ", " + hops_sql(14) + ", " + LABEL_SQL
-add("labels_per_search_web", on("web", lambda s: measures.labels_per_search(s.labels())), final(W, "hub, added", "(select hub, count(*) added from lab group by hub)"))
-add("labels_cumulative_web", on("web", lambda s: measures.running(measures.labels_per_search(s.labels()), "hub", "added", "cum", 64)), final(W, "hub, added, cum", "(select hub, added, sum(added) over (order by hub) cum from (select hub, count(*) added from lab group by hub))"))
-add("label_size_hist_web", on("web", lambda s: measures.size_histogram(measures.label_sizes(s.labels(), s.v))), final(W, "size, vertices", "(select size, count(*) vertices from (select count(*) size from lab group by v) group by size)"))
+for g in ("web", "trade", "supply"):
+    W = ranked_sql(g) + ", " + hops_sql(BOUND[g]) + ", " + LEAST_SQL
+    add(f"labels_per_search_{g}", on(g, lambda s: measures.labels_per_search(s.labels())), final(W, "hub, added", "(select hub, count(*) added from lab group by hub)"))
+    add(f"labels_cumulative_{g}", on(g, lambda s: measures.running(measures.labels_per_search(s.labels()), "hub", "added", "cum", 64)), final(W, "hub, added, cum", "(select hub, added, sum(added) over (order by hub) cum from (select hub, count(*) added from lab group by hub))"))
+    add(f"label_size_hist_{g}", on(g, lambda s: measures.size_histogram(measures.label_sizes(s.labels(), s.v))), final(W, "size, vertices", "(select size, count(*) vertices from (select count(*) size from lab group by v) group by size)"))
+    add(f"search_space_{g}", on(g, lambda s: measures.search_space(s.labels(), s.e)), final(W + ", vs as (select hub, v from lab union select hub, er.v from lab join er on er.u = lab.v)", "hub, visited, labelled, pruned", "(select hub, visited, labelled, visited - labelled pruned from (select hub, count(*) visited from vs group by hub) join (select hub, count(*) labelled from lab group by hub) using (hub))"))
+    FP = W + ", " + PAIRS_SQL + ", fi as (select pr.s, pr.t, x.dist, x.m as first from pr join x on x.s = pr.s and x.v = pr.t)"
+    asked = lambda s: measures.coverage_steps(s.labels(), query.query_labels(s.labels(), s.pairs()).where("dist is not null"))
+    add(f"coverage_pairs_by_step_{g}", on(g, lambda s, asked=asked: measures.coverage(asked(s), STEPS)), final(FP, "k, covered, total", f"(select k, count(*) filter (first < k) covered, count(*) total from fi, (select unnest({STEPS}) k) group by k)"))
+    add(f"coverage_pairs_by_distance_{g}", on(g, lambda s, asked=asked: measures.coverage(asked(s), STEPS, True)), final(FP, "k, dist, covered, total", f"(select k, dist, count(*) filter (first < k) covered, count(*) total from fi, (select unnest({STEPS}) k) group by k, dist)"))
+    add(f"distance_histogram_{g}", on(g, lambda s: measures.distance_histogram(query.query_labels(s.labels(), s.pairs()))), final(FP, "dist, pairs", "(select x.dist, count(*) pairs from pr left join x on x.s = pr.s and x.v = pr.t group by x.dist)"))
 add("label_size_summary_trade", on("trade", lambda s: measures.label_size_summary(measures.label_sizes(s.labels(), s.v))))
-add("search_space_web", on("web", lambda s: measures.search_space(s.labels(), s.e)), final(W + ", vs as (select hub, v from lab union select hub, er.v from lab join er on er.u = lab.v)", "hub, visited, labelled, pruned", "(select hub, visited, labelled, visited - labelled pruned from (select hub, count(*) visited from vs group by hub) join (select hub, count(*) labelled from lab group by hub) using (hub))"))
 add("distance_histogram_handoff", on("handoff", lambda s: measures.distance_histogram(query.query_labels(s.labels(), s.pairs()))), final(P, "dist, pairs", "(select dist, count(*) pairs from pr left join d using (s, t) group by dist)"))
 add("index_bytes_handoff", on("handoff", lambda s: measures.index_bytes(s.labels(), s.combined(2, 32)[0])))
 add("audit_minimal_web", on("web", lambda s: measures.audit_minimal(s.labels()).agg(F.count("*").alias("violations"))), "select 0::bigint violations")

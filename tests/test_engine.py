@@ -130,7 +130,7 @@ def test_components(spark):
     assert got == {0: 0, 1: 0, 2: 0, 3: 3, 4: 3, 5: 5}
 
 
-TWINS = ["graph_trade_edges", "graph_web_edges", "graph_handoff_edges", "rank_degree_trade", "degree_ccdf_web", "labels_pruned_handoff", "query_pruned_trade", "landmark_bounds_handoff", "coverage_by_step_handoff", "path_steps_handoff", "audit_prefix_all_handoff", "cube_distance", "asof_user_event", "closest_customers_topk"]
+TWINS = ["graph_trade_edges", "graph_web_edges", "graph_handoff_edges", "rank_degree_trade", "degree_ccdf_web", "labels_pruned_handoff", "labels_pruned_trade", "search_space_supply", "coverage_pairs_by_distance_supply", "query_pruned_trade", "landmark_bounds_handoff", "coverage_by_step_handoff", "path_steps_handoff", "audit_prefix_all_handoff", "cube_distance", "asof_user_event", "closest_customers_topk"]
 
 
 @pytest.mark.parametrize("name", TWINS)

@@ -9,11 +9,19 @@ one key of many rows, can be dealt over several tasks by the skew join.
 
 from __future__ import annotations
 
+import tempfile
+from collections.abc import Iterator
+
+import numpy as np
+import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
 from ..plans.scratch import cut, drop
 
+#: Pairs that a task holds; more wait in a file of the task.
+PAIRS = 1 << 22
+
 
 def star_edges(df: DataFrame, key: str, item: str) -> DataFrame:
     """(a, b), once: b is the smallest item under a key of item a; a bucket of any size spills, and sorting by the key alone is a radix sort."""
@@ -22,6 +30,70 @@ def star_edges(df: DataFrame, key: str, item: str) -> DataFrame:
     return df.select(F.min(item).over(Window.partitionBy(key)).alias("b"), F.col(item).alias("a")).where("a <> b").distinct()
 
 
+def packed(key: np.ndarray, item: np.ndarray, parts: int) -> pa.RecordBatch:
+    """Pairs of spread 64-bit keys and items as rows (part, pairs), one for each part that has a key."""
+    part = (key % np.uint64(parts)).astype(np.uint16)
+    order = np.argsort(part, kind="stable")
+    pairs = np.empty((len(key), 2), np.int64)
+    pairs[:, 0], pairs[:, 1] = key.view(np.int64)[order], item[order]
+    count = np.bincount(part, minlength=parts)
+    some = np.flatnonzero(count)
+    off = np.concatenate([[0], np.cumsum(16 * count[some])]).astype(np.int32)
+    blobs = pa.Array.from_buffers(pa.binary(), len(some), [None, pa.py_buffer(off), pa.py_buffer(pairs)])
+    return pa.RecordBatch.from_arrays([pa.array(some.astype(np.int32)), blobs], ["part", "pairs"])
+
+
+def _least(key: np.ndarray, low: np.ndarray, many: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """Each key once, with its smallest item and whether it has more than one."""
+    order = np.argsort(key)
+    key, low, many = key[order], low[order], many[order]
+    cuts = np.flatnonzero(np.concatenate([[True], key[1:] != key[:-1]])) if len(key) else np.zeros(0, np.int64)
+    if len(cuts) == len(key):
+        return key, low, many
+    least = np.minimum.reduceat(low, cuts)
+    return key[cuts], least, (np.maximum.reduceat(low, cuts) != least) | np.logical_or.reduceat(many, cuts)
+
+
+def packed_stars(blobs: Iterator[bytes], held: int = 0) -> Iterator[tuple[np.ndarray, np.ndarray]]:
+    """``star_edges`` of one part of ``packed`` pairs, some repeated: (items, the smallest item under their key).
+
+    At most about ``held`` pairs are in memory: a larger part goes to a file that ends
+    with the task and is read twice for each of several ranges of its keys, first for the
+    smallest items and then for the others, so that a key of any size fits.
+    """
+    held = held or PAIRS
+    with tempfile.TemporaryFile() as file:
+        kept, size, written = [], 0, 0
+
+        def chunks() -> Iterator[np.ndarray]:
+            file.seek(0)
+            while data := file.read(16 * held):
+                yield np.frombuffer(data, np.int64).reshape(-1, 2)
+
+        for x in blobs:
+            kept.append(x)
+            size += len(x) // 16
+            if size >= held:
+                file.write(b"".join(kept))
+                kept, size, written = [], 0, written + size
+        if written:
+            file.write(b"".join(kept))
+        last = [] if written else [np.frombuffer(b"".join(kept), np.int64).reshape(-1, 2)]
+        ranges = -(-(written + size) // held) if written else 1
+        for r in range(ranges):
+            some = lambda x, r=r: x if ranges == 1 else x[(x[:, 0].view(np.uint64) >> np.uint64(32)) * np.uint64(ranges) >> np.uint64(32) == r]
+            key, low, many = np.zeros(0, np.int64), np.zeros(0, np.int64), np.zeros(0, bool)
+            for x in map(some, last or chunks()):
+                key, low, many = _least(np.concatenate([key, x[:, 0]]), np.concatenate([low, x[:, 1]]), np.concatenate([many, np.zeros(len(x), bool)]))
+            key, low = key[many], low[many]
+            if not len(key):
+                continue
+            for x in map(some, last or chunks()):
+                k = np.minimum(np.searchsorted(key, x[:, 0]), len(key) - 1)
+                at = (key[k] == x[:, 0]) & (low[k] != x[:, 1])
+                yield x[at, 1], low[k[at]]
+
+
 def components(edges: DataFrame) -> DataFrame:
     """(node, comp) for all nodes of ``edges`` (a, b); comp is the smallest node that links reach.
 

@@ -13,6 +13,8 @@ keep their first line.
 
 from __future__ import annotations
 
+from collections.abc import Iterator
+
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import Column, DataFrame
@@ -21,12 +23,13 @@ from pyspark.sql import functions as F
 from ..plans.scratch import cut
 from . import textvec as tv
 from .columns import own_names
-from .graph import star_edges
+from .graph import packed, packed_stars
 from .overlap import distinct, linked_items
 from .pretokens import WHITE
 
 SHINGLE = 8
 INK = "[^" + "".join(f"\\x{{{c:x}}}" for c in WHITE) + "]"  # what a line must hold not to be blank
+HELD = 1 << 20  # bands that a task packs at once
 ROWS, BANDS = 6, 16  # a pair at similarity 0.8 shares a band with probability 0.992, at 0.9 with 0.9999
 
 
@@ -95,11 +98,16 @@ def line_table(docs: DataFrame) -> DataFrame:
     return split_lines(docs).select("doc_id", "line_no", *digests("line"), F.col("line").rlike(INK).alias("ink"), F.length("line").cast("long").alias("size"))
 
 
-def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> DataFrame:
-    """(key, h1): a row for each band of each line; equal lines of a batch count once."""
+def line_hubs(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> DataFrame:
+    """(a, b), once: b is the smallest h1 under a band of line a; equal lines of a batch count once.
+
+    Bands travel as arrays, a row for each part of the keys and ``HELD`` bands, not a
+    row for each band of each line.
+    """
     slots = rows_per_band * bands
+    parts = min(1 << 16, 4 * int(docs.sparkSession.conf.get("spark.sql.shuffle.partitions")))
 
-    def run(batches):
+    def keys(batches):
         once = (b.take(pa.array(np.unique(b.column(0).to_numpy(), return_index=True)[1])) for b in batches)
         for piece in tv.piece_batches(once, 1 << 17):  # arrays of a piece stay in a core's cache
             cp, off = tv.column_points(piece.column(1))
@@ -109,12 +117,25 @@ def band_table(docs: DataFrame, width: int, rows_per_band: int, bands: int) -> D
             for r in range(rows_per_band):
                 key = tv.fmix(key + sig[:, r::rows_per_band] + np.uint64(0x9E3779B97F4A7C15))
             key = tv.fmix(key + np.arange(bands, dtype=np.uint64) * np.uint64(0xD6E8FEB86659FD93))
-            flat, own = key.ravel().view(np.int64), np.repeat(piece.column(0).to_numpy(), bands)
-            for i in range(0, len(flat), 100_000):
-                yield pa.RecordBatch.from_arrays([pa.array(flat[i : i + 100_000]), pa.array(own[i : i + 100_000])], ["key", "h1"])
+            yield key.ravel(), np.repeat(piece.column(0).to_numpy(), bands)
+
+    def run(batches):
+        kept, size = [], 0
+        for x in keys(batches):
+            kept.append(x)
+            size += len(x[0])
+            if size >= HELD:
+                yield packed(*map(np.concatenate, zip(*kept, strict=True)), parts)
+                kept, size = [], 0
+        if size:
+            yield packed(*map(np.concatenate, zip(*kept, strict=True)), parts)
+
+    def stars(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for a, b in packed_stars(y for x in batches for y in x.column(x.schema.get_field_index("pairs")).to_pylist()):
+            yield pa.RecordBatch.from_arrays([pa.array(a), pa.array(b)], ["a", "b"])
 
     inked = split_lines(docs).where(F.col("line").rlike(INK)).select(digests("line")[0], "line")
-    return inked.mapInArrow(run, "key long, h1 long")
+    return inked.mapInArrow(run, "part int, pairs binary").groupBy("part").applyInArrow(stars, "a long, b long").distinct()
 
 
 def line_classes(docs: DataFrame, num: int = 80, den: int = 100, width: int = SHINGLE, rows_per_band: int = ROWS, bands: int = BANDS) -> DataFrame:
@@ -133,7 +154,7 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     """``line_classes`` with the hash h1 of each line, which tells lines of rows that repeat a doc_id apart."""
     docs = docs.select(F.col("doc_id").cast("long").alias("doc_id"), "text")
     every = cut(line_table(docs), "lines")
-    near = cut(star_edges(band_table(docs, width, rows_per_band, bands), "key", "h1"), "near")
+    near = cut(line_hubs(docs, width, rows_per_band, bands), "near")
     place = F.struct("doc_id", "line_no")
     inked = every.where("ink and doc_id is not null")
     first = cut(inked.groupBy("h1", "h2").agg(F.min(place).alias("rep"), F.count("*").alias("n"), F.max("size").alias("size")), "reps")
@@ -149,10 +170,13 @@ def placed_lines(docs: DataFrame, num: int = 80, den: int = 100, width: int = SH
     items = chosen.select(F.col("h1").alias("node"), F.col("id").alias("item"), "weight")
 
     def sets(table):
-        cp, off = tv.column_points(table["text"])
-        x, owner = line_shingles(cp, off[:-1], off[1:], width)
-        x, at = distinct(x, owner, len(off) - 1)
-        return x.view(np.int64), at, np.arange(len(off) - 1)
+        found, sizes = [np.zeros(0, np.uint64)], []
+        for piece in tv.piece_batches(table.select(["text"]).to_batches(), 1 << 17, 0):
+            cp, off = tv.column_points(piece.column(0))
+            x, at = distinct(*line_shingles(cp, off[:-1], off[1:], width), len(off) - 1)
+            found.append(x)
+            sizes.append(np.diff(at))
+        return np.concatenate(found).view(np.int64), np.concatenate([[0], *sizes]).cumsum(), np.arange(table.num_rows)
 
     linked = chosen.join(linked_items(near, items, texts, sets, num, den).withColumnRenamed("node", "id"), "id").select("h1", "h2", "rep", "comp")
     comp = linked.join(linked.groupBy("comp").agg(F.min("rep").alias("cls")), "comp").select("h1", "h2", F.col("cls").alias("comp"))

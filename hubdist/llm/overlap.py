@@ -34,6 +34,7 @@ from ..plans.scratch import cut, drop
 from .graph import components
 
 LONG = 64  # a list of at most so many items is merged, never set aside
+CELLS = 1 << 17  # values that are sorted at once, so that they stay in a core's cache
 HEAP = 512  # up to so many places are merged by a heap, more by a merge sort whose runs are the lists
 
 
@@ -152,20 +153,27 @@ def links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.nda
 
 
 def centre_links(block: np.ndarray, side: np.ndarray, sizes: np.ndarray, tokens: np.ndarray, num: int, den: int) -> Iterator[tuple[int, int]]:
-    """Links (i, j) from the one item of side 0 in each block to those of side 1, all overlaps counted at once."""
-    n = len(sizes)
-    owner = np.repeat(np.arange(n), sizes)
+    """Links (i, j) from the one item of side 0 in each block to those of side 1: a block's tokens are sought in its sorted hub, all at once."""
+    start = np.cumsum(sizes) - sizes
     name, names = pd.factorize(block)
-    code, uniq = pd.factorize(tokens)
-    code, uniq = pd.factorize(name[owner] * len(uniq) + code)
     centre = np.zeros(len(names), np.int64)
     centre[name[side == 0]] = np.flatnonzero(side == 0)
-    held = np.zeros(len(uniq), bool)
-    held[code[side[owner] == 0]] = True
-    shared = np.bincount(owner, weights=held[code], minlength=n).astype(np.int64)
-    own = centre[name]
-    good = (side == 1) & (sizes > 0) & (den * shared >= num * (sizes + sizes[own] - shared))
-    yield from zip(own[good].tolist(), np.flatnonzero(good).tolist(), strict=True)
+    size = sizes[centre[name]]
+    live = np.flatnonzero((side == 1) & (sizes > 0) & (den * np.minimum(sizes, size) >= num * np.maximum(sizes, size)) & (size > 0))
+    live = live[np.argsort(name[live], kind="stable")]
+    if not len(live):
+        return
+    at = name[live]
+    for own in np.split(live, np.flatnonzero(at[1:] != at[:-1]) + 1):
+        c = int(centre[name[own[0]]])
+        held = np.sort(tokens[start[c] : start[c] + sizes[c]])
+        n = sizes[own]
+        x = np.concatenate([tokens[i : i + k] for i, k in zip(start[own].tolist(), n.tolist(), strict=True)])
+        k = np.searchsorted(held, x)
+        k[k == len(held)] = 0
+        shared = np.add.reduceat(held[k] == x, np.cumsum(n) - n, dtype=np.int64)
+        for j in own[den * shared >= num * (n + len(held) - shared)].tolist():
+            yield c, j
 
 
 def _tasks(groups: DataFrame, key: str, budget: int) -> tuple[DataFrame, int]:
@@ -267,10 +275,32 @@ def linked_items(near: DataFrame, items: DataFrame, texts: DataFrame, sets: Call
 
 
 def distinct(x: np.ndarray, owner: np.ndarray, n: int) -> tuple[np.ndarray, np.ndarray]:
-    """Distinct values of each of n owners end to end in any order, and their offsets."""
-    code, uniq = pd.factorize(x)
-    pair = np.sort(owner * len(uniq) + code)
-    keep = np.ones(len(pair), bool)
-    keep[1:] = pair[1:] != pair[:-1]
-    owner, code = np.divmod(pair[keep], max(1, len(uniq)))
-    return uniq[code], np.concatenate([[0], np.cumsum(np.bincount(owner, minlength=n))])
+    """Distinct values of each of n owners end to end in any order, and their offsets.
+
+    Owners of about one size are the rows of a small matrix, each filled up with its
+    last value and sorted by itself.
+    """
+    if (owner[1:] < owner[:-1]).any():
+        order = np.argsort(owner, kind="stable")
+        x, owner = x[order], owner[order]
+    size = np.bincount(owner, minlength=n)
+    start = np.cumsum(size) - size
+    rows = np.argsort(size, kind="stable")
+    rows = rows[size[rows] > 0]
+    width, count = size[rows], np.zeros(n, np.int64)
+    parts, i = [x[:0]], 0
+    while i < len(rows):
+        j = int(np.searchsorted(width, width[i] + width[i] // 8, "right"))
+        j = min(j, i + max(1, CELLS // int(width[j - 1])))
+        own = rows[i:j]
+        m = x[start[own][:, None] + np.minimum(np.arange(width[j - 1]), size[own][:, None] - 1)]
+        m.sort(axis=1)
+        keep = np.ones(m.shape, bool)
+        np.not_equal(m[:, 1:], m[:, :-1], out=keep[:, 1:])
+        parts.append(m[keep])
+        count[own] = keep.sum(axis=1)
+        i = j
+    off = np.concatenate([[0], np.cumsum(count)])
+    first = np.zeros(n, np.int64)
+    first[rows] = np.cumsum(count[rows]) - count[rows]
+    return np.concatenate(parts)[np.repeat(first - off[:-1], count) + np.arange(off[-1])], off

@@ -131,3 +131,20 @@ def test_asked_pairs_of_a_graph_too_large_to_be_held(spark, monkeypatch):
     for name in SHUFFLED:
         got = registry.queries()[name](spark, DIR)
         assert sorted(map(tuple, got.collect()), key=repr) == twin(name, got.columns)
+
+
+def test_closest_customers_join_no_index_tables(spark, no_rounds, monkeypatch):
+    def never(*_):
+        raise AssertionError("the index was written to be joined with pairs")
+
+    with monkeypatch.context() as m:
+        m.setattr(registry.Space, "labels", never)
+        got = registry.queries()["closest_customers_topk"](spark, DIR)
+        assert sorted(map(tuple, got.collect()), key=repr) == twin("closest_customers_topk", got.columns)
+
+
+def test_closest_customers_of_a_graph_too_large_to_be_held(spark, monkeypatch):
+    monkeypatch.setattr(registry, "_held", {})
+    monkeypatch.setattr(reach, "HELD_EDGES", -1)
+    got = registry.queries()["closest_customers_topk"](spark, DIR)
+    assert sorted(map(tuple, got.collect()), key=repr) == twin("closest_customers_topk", got.columns)

@@ -1,6 +1,7 @@
 """Searches inside tasks: the same index as rounds of joins, without their shuffles."""
 
 import itertools
+import pickle
 import random
 
 import duckdb
@@ -148,3 +149,34 @@ def test_closest_customers_of_a_graph_too_large_to_be_held(spark, monkeypatch):
     monkeypatch.setattr(reach, "HELD_EDGES", -1)
     got = registry.queries()["closest_customers_topk"](spark, DIR)
     assert sorted(map(tuple, got.collect()), key=repr) == twin("closest_customers_topk", got.columns)
+
+
+@pytest.mark.parametrize("step", [1, 3])  # ids that are places, and ids with gaps
+def test_all_pairs_by_rows_and_lists_of_hubs(spark, step):
+    rng = random.Random(4)
+    n = 230
+    some = {(i, i + 1) for i in range(150)} | {(a, b) for a, b in itertools.combinations(range(160, n - 4), 2) if rng.random() < 0.05}
+    order = rng.sample(range(n), n)
+    both = sorted({(order[a] * step, order[b] * step) for a, b in some} | {(order[b] * step, order[a] * step) for a, b in some})
+    e, v = spark.createDataFrame(both, "u long, v long"), spark.range(0, n * step, step).withColumnRenamed("id", "v")
+    lab = lb.label_pruned(e, v)
+    full = search.label_naive(e, v.select(F.col("v").alias("hub")))
+    truth = full.select((F.col("hub") * n * step + F.col("v")).alias("qid"), F.col("hub").alias("s"), F.col("v").alias("t"), "dist")
+    for index in (lab, lab.where("dist < 20"), lab.where("hub % 4 <> 0")):  # whole, of bytes but with pairs farther apart than bytes hold, with gaps
+        assert rows(measures.first_counts(e, v, index).groupBy("dist", "first").agg(F.sum("pairs"))) == rows(measures.coverage_steps(index, truth).groupBy("dist", "first").count())
+        bad = measures.audit_cover(index, truth).select("s", "t", F.coalesce("dist", F.lit(-1)), "true")
+        assert rows(measures.audit_cover_all(e, v, index).select("s", "t", F.coalesce("dist", F.lit(-1)), "true")) == rows(bad)
+
+
+@pytest.mark.parametrize("measure", ["audit_cover_all", "first_counts"])
+def test_an_index_goes_to_workers_in_few_bytes(spark, monkeypatch, measure):
+    n = 3000
+    near = [(0, i) for i in range(1, n)] + [(1, i) for i in range(2, n)]
+    e = spark.createDataFrame([*near, *((b, a) for a, b in near)], "u long, v long")
+    v = spark.range(n).withColumnRenamed("id", "v")
+    lab = lb.label_pruned(e, v)
+    sent = []
+    dealt = reach.dealt
+    monkeypatch.setattr(reach, "dealt", lambda spark, what, *how: sent.append(what) or dealt(spark, what, *how))
+    getattr(measures, measure)(e, v, lab)
+    assert sum(len(pickle.dumps(x)) for x in sent[0][1:]) < 6 * lab.count() + 8 * (n + 1)

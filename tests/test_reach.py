@@ -9,6 +9,7 @@ import pytest
 from pyspark.sql import functions as F
 
 from hubdist import registry
+from hubdist.operators import baselines
 from hubdist.operators import bitparallel as bitp
 from hubdist.operators import labels as lb
 from hubdist.operators import measures, reach, search
@@ -180,3 +181,23 @@ def test_an_index_goes_to_workers_in_few_bytes(spark, monkeypatch, measure):
     monkeypatch.setattr(reach, "dealt", lambda spark, what, *how: sent.append(what) or dealt(spark, what, *how))
     getattr(measures, measure)(e, v, lab)
     assert sum(len(pickle.dumps(x)) for x in sent[0][1:]) < 6 * lab.count() + 8 * (n + 1)
+
+
+@pytest.mark.parametrize("length", [0, 70])  # long paths: distances of two bytes
+def test_greedy_order_in_a_table_equals_that_by_sets(spark, length):
+    rng = random.Random(9)
+    n = 100
+    some = {(i, i + 1) for i in range(length)} | {(a, b) for a, b in itertools.combinations(range(length, n - 2), 2) if rng.random() < 0.08}
+    ids = sorted(rng.sample(range(500), n))  # with gaps, and two vertices without an edge
+    e = spark.createDataFrame(sorted({(ids[a], ids[b]) for a, b in some} | {(ids[b], ids[a]) for a, b in some}), "u long, v long")
+    v = spark.createDataFrame([(i,) for i in ids], "v long")
+    dist = search.label_naive(e, v.select(F.col("v").alias("hub"))).select(F.col("hub").alias("s"), F.col("v").alias("t"), "dist")
+    assert baselines.hierarchical_order_held(e, v) == baselines.hierarchical_order(dist)
+
+
+def test_hierarchical_query_of_more_than_300_vertices(spark, monkeypatch):
+    monkeypatch.setattr(registry, "_held", {})
+    got = registry.queries()["hierarchical_query_handoff"](spark, "/root/testdata/sf0.1")
+    s = registry.Space(spark, "/root/testdata/sf0.1", "handoff")
+    want = s.pairs().join(s.naive().select(F.col("hub").alias("s"), F.col("v").alias("t"), "dist"), ["s", "t"], "left")
+    assert s.v.count() > 300 and rows(got.select("qid", "s", "t", "dist")) == rows(want.select("qid", "s", "t", F.col("dist").cast("long")))
